@@ -21,8 +21,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Pieces a worker keeps; beyond it the cache starts anew, so memory does not follow the corpus.
-CACHED_PIECES = 250_000
+#: Pieces a worker keeps; beyond it new ones last for one block, so memory does not follow the corpus.
+CACHED_PIECES = 300_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -126,14 +126,15 @@ class MergeReplay:
         cache = self.pieces
         fresh = list(set(chain.from_iterable(split)).difference(cache))
         if fresh:
-            if len(cache) + len(fresh) > CACHED_PIECES:
-                cache.clear()
-                fresh = list(set(chain.from_iterable(split)))
             for lo in range(0, len(fresh), 20_000):
                 part = fresh[lo:lo + 20_000]
                 cache.update(zip(part, self.replay(part), strict=True))
         get = cache.__getitem__
-        return [list(chain.from_iterable(map(get, pieces))) for pieces in split]
+        out = [list(chain.from_iterable(map(get, pieces))) for pieces in split]
+        if len(cache) > CACHED_PIECES:  # the early, mostly frequent pieces stay
+            for piece in fresh:
+                del cache[piece]
+        return out
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.token_bytes.__getitem__, ids))

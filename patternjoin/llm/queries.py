@@ -6,8 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .byte_bpe import byte_bpe
 from .common import table
 from .near_dedup import near_duplicates
+from .topk_search import exact_top_k
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -31,5 +33,33 @@ select d.doc_id, coalesce(n.n, 0) as n_shingles, m.c as component_id, d.doc_id =
 from documents d left join n using (doc_id) join (select doc_id, min(reach) as c from r group by 1) m using (doc_id)
 """
 
-QUERIES: dict[str, Query] = {"op1_near_dedup": op1_near_dedup}
-ORACLES: dict[str, str] = {"op1_near_dedup": OP1_SQL}
+
+def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return byte_bpe(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"),
+                    public_tokenizers.PATTERN, keep_ids=False)
+
+
+def op4_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return exact_top_k(table(spark, sf_dir, "embeddings"))
+
+
+OP4_SQL = """
+with v as (select vec_id, list_transform(embedding, lambda x: cast(floor(256 * cast(x as double)) as bigint)) as q
+           from embeddings
+           where embedding is not null and len(embedding) > 0
+             and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0),
+s as (select a.vec_id as query_id, b.vec_id,
+             cast(list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2])) as bigint) as score
+      from v a join v b on a.vec_id % 50 = 0 and a.vec_id <> b.vec_id),
+r as (select *, cast(row_number() over (partition by query_id order by score desc, vec_id) as integer) as rank from s)
+select query_id, rank, vec_id, score from r where rank <= 5
+"""
+
+QUERIES: dict[str, Query] = {
+    "op1_near_dedup": op1_near_dedup,
+    "op3_byte_bpe": op3_byte_bpe,
+    "op4_topk_search": op4_topk_search,
+}
+ORACLES: dict[str, str] = {"op1_near_dedup": OP1_SQL, "op4_topk_search": OP4_SQL}
