@@ -5,8 +5,9 @@
 3. inverted lists of the retained values generate overlaps: a pair of sets that is similar
    enough shares at least `t` retained values, so only the s - t + 1 rarest values of each
    sketch have to be listed (a common passage never drives the lists);
-4. within a list, members are compared with a pivot, then only across classes that are not
-   joined yet, so a large group of copies costs a star and not all its pairs;
+4. within a list, members are compared with the list's hub, so a large group of copies costs a
+   star and not all its pairs; members that the star leaves outside the group's largest
+   component are then compared with the whole group, block by block, and only links come out;
 5. the sketch of the union estimates each candidate; exact Jaccard on the full sets decides.
 """
 
@@ -25,7 +26,6 @@ K = 64
 #: Overlap that a pair of sketches of K values must show. For similarity 0.8 the overlap is
 #: binomial(64, 0.8) or more; below 34 it falls with a probability of about 3e-7.
 MIN_OVERLAP = 34
-STAR_ROUNDS = 3
 
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 _MULT = np.uint64(0xD6E8FEB86659FD93)
@@ -122,6 +122,84 @@ def _linked(pairs: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num
     return full.mapInArrow(_verify(width, num, den), "a long, b long")
 
 
+def _components_of(reps: DataFrame, edges: DataFrame) -> DataFrame:
+    labels = connected_components(edges)
+    return reps.select("rid").join(labels, F.col("rid") == F.col("node"), "left").select(
+        "rid", F.coalesce("root", "rid").alias("comp"))
+
+
+def _block_links(num: int, den: int):
+    """Links between the queries and the candidates of one pair of blocks."""
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+    def run(block: pa.Table) -> pa.Table:
+        ids = block["rid"].to_numpy()
+        comp = block["comp"].to_numpy()
+        asks = block["asks"].to_numpy(zero_copy_only=False)
+        sets = [np.frombuffer(x.as_py(), np.uint64) for x in block["members"]]
+        cand = np.nonzero(~asks)[0]
+        sizes = np.array([len(sets[i]) for i in cand])
+        a, b = [], []
+        if len(cand) and asks.any():
+            universe, place = np.unique(np.concatenate([sets[i] for i in cand]), return_inverse=True)
+            starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+            mark = np.zeros(len(universe) + 1, np.int32)
+            for q in np.nonzero(asks)[0]:
+                at = np.searchsorted(universe, sets[q])
+                at[at == len(universe)] = 0
+                at = at[universe[at] == sets[q]]
+                mark[at] = 1
+                common = np.add.reduceat(mark[place], starts)
+                mark[at] = 0
+                hit = (den * common >= num * (len(sets[q]) + sizes - common)) & (comp[cand] != comp[q])
+                for y in ids[cand[hit]].tolist():
+                    a.append(min(int(ids[q]), y))
+                    b.append(max(int(ids[q]), y))
+        return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=schema)
+
+    return run
+
+
+#: Shingles that one block of a group holds: two blocks are what a task has in memory.
+BLOCK_SHINGLES = 250_000
+
+
+def _across(groups: DataFrame, comp: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num: int, den: int) -> DataFrame:
+    """Links (a < b) inside the groups between classes that are not joined yet.
+
+    The members outside a group's largest component are its queries; they are compared with all
+    members, block by block, on full sets. Only links leave a task.
+    """
+    placed = groups.join(comp, "rid").join(reps.select("rid", "n"), "rid")
+    open_groups = placed.where("p <> rid").groupBy("p").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where(
+        "lo <> hi").select("p")
+    parts = placed.join(open_groups, "p").groupBy("p", "comp").agg(F.sum("n").alias("n"))
+    shape = parts.groupBy("p").agg(F.max_by("comp", F.struct("n", "comp")).alias("main"), F.sum("n").alias("all_n"),
+                                   F.max("n").alias("main_n")).select(
+        "p", "main", F.ceil(F.col("all_n") / BLOCK_SHINGLES).cast("int").alias("cand_blocks"),
+        F.ceil((F.col("all_n") - F.col("main_n")) / BLOCK_SHINGLES).cast("int").alias("query_blocks"))
+    members = cut(placed.join(shape, "p"), "near-open")
+
+    def set_of(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), pa.array([shingle_set(t.as_py(), width).tobytes() for t in batch.column(1)], pa.binary())],
+                names=["rid", "members"])
+
+    sets = texts.join(members.select("rid").distinct(), "rid", "left_semi").select("rid", "text").mapInArrow(
+        set_of, "rid long, members binary")
+    rows = members.join(sets, "rid")
+    slot = F.xxhash64("rid").bitwiseAND(F.lit(2**62 - 1))
+    span = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    kept = ["p", "rid", "comp", "members"]
+    cands = rows.select(*kept, F.lit(False).alias("asks"), (slot % F.col("cand_blocks")).cast("int").alias("cb"),
+                        F.explode(span("query_blocks")).alias("qb"))
+    asking = rows.where("comp <> main").select(*kept, F.lit(True).alias("asks"), F.explode(span("cand_blocks")).alias("cb"),
+                                               (slot % F.col("query_blocks")).cast("int").alias("qb"))
+    both = cands.unionByName(asking)
+    return both.groupBy("p", "cb", "qb").applyInArrow(_block_links(num, den), "a long, b long").distinct()
+
+
 def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", width: int = 5,
                     num: int = 80, den: int = 100, k: int = K, min_overlap: int = MIN_OVERLAP) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), one row for each input row.
@@ -145,45 +223,25 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str
     overlap = F.when(F.col("n") <= (k * num) // den, F.ceil(F.col("n") * num / den)).otherwise(F.lit(min_overlap))
     listed = (values.join(common, "v").groupBy("rid", "n").agg(F.sort_array(F.collect_list(F.struct("df", "v"))).alias("vs"))
               .withColumn("room", (size - overlap + 1 - (size - F.size("vs"))).cast("int"))
-              .where("room > 0").select("rid", F.explode(F.slice("vs", F.lit(1), F.col("room"))).alias("x"))
-              .select("rid", F.col("x.v").alias("v")))
+              .where("room > 0")
+              # the text that others were copied from holds the values most of them share
+              .select("rid", "n", F.aggregate("vs", F.lit(0).cast("long"), lambda acc, x: acc + x["df"]).alias("hub"),
+                      F.explode(F.slice("vs", F.lit(1), F.col("room"))).alias("x"))
+              .select("rid", "n", "hub", F.col("x.v").alias("v")))
     index = cut(listed, "near-index")
     # only members of a list with two classes can meet a partner: their texts are laid out once
     met = index.groupBy("v").agg(F.count("*").alias("c")).where("c > 1")
     texts = cut(texts.join(index.join(met, "v", "left_semi").select("rid").distinct(), "rid", "left_semi"), "near-texts")
 
-    comp = reps.select("rid", F.col("rid").alias("comp"))
-    labels, edges, tested = None, None, None
-    args = (reps, texts, width, num, den, k, min_overlap)
-    for turn in range(STAR_ROUNDS + 1):
-        placed = index.join(comp, "rid")
-        # a list whose members are joined already has nothing left to say
-        open_lists = placed.groupBy("v").agg(
-            F.min_by("rid", F.when(F.lit(turn) == 0, F.col("rid")).otherwise(F.xxhash64("rid", F.lit(turn)))).alias("p"),
-            F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi")
-        if turn < STAR_ROUNDS:
-            pivots = open_lists.select("v", "p").join(comp.select(F.col("rid").alias("p"), F.col("comp").alias("pc")), "p")
-            pairs = placed.join(pivots, "v").where("comp <> pc").select(
-                F.least("rid", "p").alias("a"), F.greatest("rid", "p").alias("b")).distinct()
-        else:
-            left = placed.join(open_lists.select("v"), "v", "left_semi")
-            right = left.select("v", F.col("rid").alias("r2"), F.col("comp").alias("c2"))
-            pairs = left.join(right, "v").where("rid < r2 and comp <> c2").select(
-                F.col("rid").alias("a"), F.col("r2").alias("b")).distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = cut(pairs, "near-pairs")
-        if pairs.isEmpty():
-            forget(pairs)
-            if turn >= STAR_ROUNDS - 1 or turn == 0:
-                break
-            continue
-        found = cut(_linked(pairs, *args), "near-links")
-        tested = pairs if tested is None else tested.unionByName(pairs)
-        edges = found if edges is None else edges.unionByName(found)
-        labels = connected_components(edges)
-        comp = reps.select("rid").join(labels, F.col("rid") == F.col("node"), "left").select(
-            "rid", F.coalesce("root", "rid").alias("comp"))
+    # a list's pivot is its hub; lists of one group of copies have the same hub, so they fall together
+    hubs = index.groupBy("v").agg(F.max_by("rid", F.struct("hub", -F.col("rid"))).alias("p"),
+                                  F.count("*").alias("c")).where("c > 1").select("v", "p")
+    groups = cut(index.join(hubs, "v").select("p", "rid").distinct(), "near-groups")
+    pairs = groups.where("p <> rid").select(F.least("rid", "p").alias("a"), F.greatest("rid", "p").alias("b")).distinct()
+    edges = cut(_linked(pairs, reps, texts, width, num, den, k, min_overlap), "near-links")
+    comp = _components_of(reps, edges)
+    edges = cut(edges.unionByName(_across(groups, comp, reps, texts, width, num, den)), "near-links")
+    comp = _components_of(reps, edges)
     named_class = reps.select("fp", "rid").join(comp, "rid").select("fp", "comp")
     out = sig.select("doc_id", "n_shingles", "fp").join(named_class, "fp", "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id"))
