@@ -8,11 +8,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .byte_bpe import byte_bpe
 from .common import crc_fold, table
+from .html_extraction import extract_text
 from .language_id import fit_filter, identify
 from .near_dedup import near_duplicates
 from .source_mixing import mix_sources
+from .suffix_dedup import remove_repeats
 from .topk_search import exact_top_k
 from .warc_archive import archive_report, new_archive, write_archive
+from .webp_lossless import media_columns
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -84,6 +87,18 @@ from p join m using (h)
 """
 
 
+def op7_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media_columns(table(spark, sf_dir, "documents"))
+
+
+def op8_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract_text(table(spark, sf_dir, "pages"))
+
+
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op9_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_sources(table(spark, sf_dir, "documents")).drop("uses")
 
@@ -116,7 +131,10 @@ QUERIES: dict[str, Query] = {
     "op3_byte_bpe": op3_byte_bpe,
     "op4_topk_search": op4_topk_search,
     "op5_warc_archive": op5_warc_archive,
+    "op7_media_columns": op7_media_columns,
+    "op8_html_extraction": op8_html_extraction,
     "op9_source_mixing": op9_source_mixing,
+    "op10_suffix_dedup": op10_suffix_dedup,
 }
 ORACLES: dict[str, str] = {"op1_near_dedup": OP1_SQL, "op4_topk_search": OP4_SQL, "op5_warc_archive": OP5_SQL,
                            "op9_source_mixing": OP9_SQL}
