@@ -10,6 +10,7 @@ from .byte_bpe import byte_bpe
 from .common import crc_fold, table
 from .html_extraction import extract_text
 from .language_id import fit_filter, identify
+from .lm_scoring import score_texts
 from .near_dedup import near_duplicates
 from .source_mixing import mix_sources
 from .suffix_dedup import remove_repeats
@@ -87,6 +88,13 @@ from p join m using (h)
 """
 
 
+def op6_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return score_texts(table(spark, sf_dir, "documents"), crc_fold("doc_id", 5) == 1,
+                       public_tokenizers.path("byte_bpe_50k.tiktoken"))
+
+
 def op7_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_columns(table(spark, sf_dir, "documents"))
 
@@ -131,6 +139,7 @@ QUERIES: dict[str, Query] = {
     "op3_byte_bpe": op3_byte_bpe,
     "op4_topk_search": op4_topk_search,
     "op5_warc_archive": op5_warc_archive,
+    "op6_lm_scoring": op6_lm_scoring,
     "op7_media_columns": op7_media_columns,
     "op8_html_extraction": op8_html_extraction,
     "op9_source_mixing": op9_source_mixing,
