@@ -30,6 +30,8 @@ GRAM = 32
 CHUNK_CONTEXTS = 1_000
 #: Bytes that one suffix array covers.
 SORT_BYTES = 300_000
+#: Windows whose digests one task compares between chunks.
+SEGMENT_WINDOWS = 500_000
 #: Bits of the filter that keeps unique anchors away from the join: 8 a key within these limits.
 FILTER_BITS = (1 << 20, 1 << 28)
 LAID_BYTES = 1_500_000
@@ -256,30 +258,42 @@ def _spans(flags: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True))
 
 
-def _sort_contexts(length: int):
-    """Spans found in a chunk, and digests of what other chunks have to know."""
+def _sort_contexts(length: int, segments: int):
+    """Spans found in a chunk; for anchors of several chunks also what the others have to know,
+    packed by digest segment: two words of digest, two of the text's key, and place * 2 + undecided."""
+    names = ["d1", "d2", "lo", "hi", "segment", "packed"]
+
     def run(batches):
         held: list[tuple] = []
+        packed: list[np.ndarray] = []
+
+        def send():
+            rows = np.concatenate(packed)
+            packed.clear()
+            at = rows[:, 0].view(np.uint64) % np.uint64(segments)
+            order = np.argsort(at, kind="stable")
+            present, first = np.unique(at[order], return_index=True)
+            parts = [p.tobytes() for p in np.split(rows[order], first[1:])]
+            none = pa.nulls(len(parts), pa.int64())
+            return pa.RecordBatch.from_arrays([none, none, none, none, pa.array(present.astype(np.int64)), pa.array(parts, pa.binary())],
+                                              names=names)
 
         def done():
             flags, leaders = repeated_windows([r[4] for r in held], [r[3] % 1024 for r in held], length)
-            out: dict[str, list] = {k: [] for k in ("d1", "d2", "lo", "hi", "w1", "w2", "open")}
-
-            def put(r, lo, hi, w1=None, w2=None, is_open=False):
-                for k, v in zip(out, (r[1], r[2], lo, hi, w1, w2, is_open), strict=True):
-                    out[k].append(v)
-
+            out: list[list] = [[], [], [], []]
             for r, hit, lead in zip(held, flags, leaders, strict=True):
                 ws = r[3] // 1024
                 for lo, hi in _spans(hit):
-                    put(r, ws + lo, ws + hi - 1 + length)
+                    for column, value in zip(out, (r[1], r[2], ws + lo, ws + hi - 1 + length), strict=True):
+                        column.append(value)
                 if r[0] > 1:
-                    for i in np.nonzero(lead)[0].tolist():
-                        w = np.frombuffer(xxhash.xxh3_128_digest(r[4][i:i + length]), np.int64)
-                        put(r, ws + i, ws + i + length, int(w[0]), int(w[1]), not bool(hit[i]))
+                    at = np.nonzero(lead)[0]
+                    digest = b"".join(xxhash.xxh3_128_digest(r[4][i:i + length]) for i in at.tolist())
+                    packed.append(np.column_stack([np.frombuffer(digest, np.int64).reshape(-1, 2), np.full(len(at), r[1]),
+                                                   np.full(len(at), r[2]), 2 * (ws + at) + ~hit[at]]).astype(np.int64))
             held.clear()
-            types = {"open": pa.bool_()}
-            return pa.RecordBatch.from_arrays([pa.array(v, types.get(k, pa.int64())) for k, v in out.items()], names=list(out))
+            return pa.RecordBatch.from_arrays([*[pa.array(c, pa.int64()) for c in out], pa.nulls(len(out[0]), pa.int64()),
+                                               pa.nulls(len(out[0]), pa.binary())], names=names)
 
         size, last = 0, None
         for batch in batches:
@@ -288,11 +302,29 @@ def _sort_contexts(length: int):
                 if held and (r[0], r[1]) != last and size >= SORT_BYTES:
                     yield done()
                     size = 0
+                    if sum(map(len, packed)) > 400_000:
+                        yield send()
                 last = (r[0], r[1])
                 held.append((r[2], r[3], r[4], r[5], r[6]))
                 size += len(r[6])
         if held:
             yield done()
+        if packed:
+            yield send()
+
+    return run
+
+
+def _between_chunks(length: int):
+    """Undecided windows that another chunk holds as well; a chunk sends each window once."""
+    def run(table: pa.Table) -> pa.Table:
+        rows = np.concatenate([np.frombuffer(p.as_py(), np.int64).reshape(-1, 5) for p in table["packed"]])
+        rows = rows[np.lexsort((rows[:, 1], rows[:, 0]))]
+        same = (rows[1:, :2] == rows[:-1, :2]).all(axis=1)
+        again = np.concatenate([[False], same]) | np.concatenate([same, [False]])
+        rows = rows[again & (rows[:, 4] & 1 == 1)]
+        lo = rows[:, 4] >> 1
+        return pa.table({"d1": rows[:, 2], "d2": rows[:, 3], "lo": lo, "hi": lo + length})
 
     return run
 
@@ -366,16 +398,18 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_
         contexts_of, "h long, chunk long, chunks long, d1 long, d2 long, run long, ctx binary")
     dealt = bytes_of.repartition(F.col("h"), F.col("chunk")).sortWithinPartitions("h", "chunk").select(
         "h", "chunk", "chunks", "d1", "d2", "run", "ctx")
-    sorted_ = cut(dealt.mapInArrow(_sort_contexts(length),
-                                   "d1 long, d2 long, lo long, hi long, w1 long, w2 long, open boolean"), "suffix-sorted")
-    between = sorted_.where("w1 is not null")
-    meeting = between.groupBy("w1", "w2").agg(F.count("*").alias("c")).where("c > 1").select("w1", "w2")
-    across = between.where("open").join(meeting, ["w1", "w2"]).select("d1", "d2", "lo", "hi")
+    # digests that chunks exchange: some 85 windows a context, in segments a task can hold
+    exchanged = sizes.where("chunks > 1").agg(F.coalesce(F.sum("chunks"), F.lit(0))).first()[0] * CHUNK_CONTEXTS
+    segments = max(1, -(-exchanged * 85 // SEGMENT_WINDOWS))
+    sorted_ = cut(dealt.mapInArrow(_sort_contexts(length, segments),
+                                   "d1 long, d2 long, lo long, hi long, segment long, packed binary"), "suffix-sorted")
+    across = sorted_.where("segment is not null").select("segment", "packed").groupBy("segment").applyInArrow(
+        _between_chunks(length), "d1 long, d2 long, lo long, hi long")
     whole = hits.where("not mixed").select("d1", "d2", "run").unionByName(
         hits.join(kinds.where("c > 1").select("h", "ctx"), ["h", "ctx"], "left_semi").where("mixed").select("d1", "d2", "run"))
     first = F.floor(F.col("run") / 1024)
     spans = (whole.select("d1", "d2", first.alias("lo"), (first + F.col("run") % 1024 - 1 + length).alias("hi"))
-             .unionByName(sorted_.where("w1 is null").select("d1", "d2", "lo", "hi")).unionByName(across).distinct())
+             .unionByName(sorted_.where("segment is null").select("d1", "d2", "lo", "hi")).unionByName(across).distinct())
     by_doc = spans.groupBy("d1", "d2").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
 
     def apply(batches):
