@@ -330,18 +330,21 @@ def _between_chunks(length: int):
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_id", text_column: str = "text",
-                   keep_text: bool = False) -> DataFrame:
-    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256[, kept_text]), one row for each input row.
+                   keep_text: bool = False, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256[, kept_text][, carried]), one row for each input row.
 
     Bytes covered by a string of `length` bytes that starts anywhere else as well are removed, in
     every place where it occurs. Null texts count as empty. Texts shorter than `length` lose
     nothing; repeated rows and copies lose all of it. Null ids pass through; an empty table gives no
-    rows; only the two named columns are read. kept_text is decoded leniently, since a cut may
-    split a character.
+    rows; only the two named columns and those to carry are read (the latter come back as the fields
+    of `carried`). A cut may split a character: kept_text leaves out its remaining bytes.
     """
     if not GRAM < length <= 1023 - GRAM:
         raise ValueError(f"length must lie between {GRAM} and {1023 - GRAM} bytes")
-    named = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.col(text_column).cast("string").alias("text"))
+    along = F.struct(*[F.col(c) for c in carry]) if carry else F.lit(None).cast("struct<none:int>")
+    named = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.col(text_column).cast("string").alias("text"),
+                        along.alias("carried"))
+    carried = named.schema["carried"].dataType.simpleString()
     rows = cut(named.select("text").mapInArrow(_anchor_rows(length), "h long, ctx long, d1 long, d2 long, run long"), "suffix-anchors")
     shared = cut(rows.groupBy("h").agg(F.count("*").alias("c"), (F.min("ctx") != F.max("ctx")).alias("mixed")).where("c > 1")
                  .select("h", "mixed"), "suffix-shared")
@@ -371,10 +374,12 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_
             yield pa.RecordBatch.from_arrays(
                 [part.column(0), pa.array([len(r) for r in raws], pa.int64()), pa.array(key[:, 0]), pa.array(key[:, 1]),
                  pa.array([t if f or keep_text else None for t, f in zip(texts, found, strict=True)], pa.string()),
-                 pa.array([None if f else hashlib.sha256(r).hexdigest() for r, f in zip(raws, found, strict=True)], pa.string())],
-                names=["doc_id", "n_bytes", "d1", "d2", "text", "sha"])
+                 pa.array([None if f else hashlib.sha256(r).hexdigest() for r, f in zip(raws, found, strict=True)], pa.string()),
+                 part.column(2)],
+                names=["doc_id", "n_bytes", "d1", "d2", "text", "sha", "carried"])
 
-    laid = cut(named.mapInArrow(split, "doc_id long, n_bytes long, d1 long, d2 long, text string, sha string"), "suffix-docs")
+    laid = cut(named.mapInArrow(
+        split, f"doc_id long, n_bytes long, d1 long, d2 long, text string, sha string, carried {carried}"), "suffix-docs")
     touched = laid.where("sha is null")
 
     asked = kinds.join(sizes, "h").select("h", (F.abs(F.col("ctx") % F.col("chunks"))).alias("chunk"), "chunks", "d1", "d2", "run")
@@ -433,16 +438,16 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_
                 columns[0].append(removed)
                 columns[1].append(n)
                 columns[2].append(hashlib.sha256(left).hexdigest())
-                columns[3].append(left.decode("utf-8", "replace") if keep_text else None)
+                columns[3].append(left.decode("utf-8", "ignore") if keep_text else None)
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), batch.column(1), pa.array(columns[0], pa.int64()), pa.array(columns[1], pa.int64()),
-                 pa.array(columns[2], pa.string()), pa.array(columns[3], pa.string())],
-                names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text"])
+                 pa.array(columns[2], pa.string()), pa.array(columns[3], pa.string()), batch.column(4)],
+                names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text", "carried"])
 
-    done = touched.join(by_doc, ["d1", "d2"], "left").select("doc_id", "n_bytes", "text", "spans").mapInArrow(
-        apply, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string")
+    done = touched.join(by_doc, ["d1", "d2"], "left").select("doc_id", "n_bytes", "text", "spans", "carried").mapInArrow(
+        apply, f"doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string, carried {carried}")
     clean = laid.where("sha is not null").select("doc_id", "n_bytes", F.lit(0).cast("long").alias("n_removed"),
                                                  F.lit(0).cast("long").alias("n_spans"), F.col("sha").alias("kept_sha256"),
-                                                 F.col("text").alias("kept_text"))
+                                                 F.col("text").alias("kept_text"), "carried")
     out = done.unionByName(clean)
-    return out if keep_text else out.drop("kept_text")
+    return out.drop(*([] if keep_text else ["kept_text"]), *([] if carry else ["carried"]))
