@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 #: Pieces a worker keeps; beyond it new ones last for one block, so memory does not follow the corpus.
-CACHED_PIECES = 300_000
+CACHED_PIECES = 500_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -39,14 +39,18 @@ class MergeReplay:
         self.token_bytes = {rank: token for token, rank in ranks.items()}
         self.digits = {rank: str(rank) for rank in self.token_bytes}
         self.pieces: dict[str, tuple[int, ...]] = {}
-        self.pair_rank: dict[tuple[int, int], int | None] = {}
-
-    def _rank(self, left: int, right: int) -> int | None:
-        key = (left, right)
+        self.pair_rank: dict[int, int] = {}
+        # ranks of two single bytes, as a table: the first pairs of every piece are looked up at once
+        self.byte_rank = np.array([ranks[bytes((b,))] for b in range(256)], np.int64)
+        self.first_rank = np.array([[ranks.get(bytes((a, b)), -1) for b in range(256)] for a in range(256)], np.int64)
+
+    def _rank(self, left: int, right: int) -> int:
+        """Rank of the token that two tokens make, or -1."""
+        key = left << 32 | right
         try:
             return self.pair_rank[key]
         except KeyError:
-            found = self.ranks.get(self.token_bytes[left] + self.token_bytes[right])
+            found = self.ranks.get(self.token_bytes[left] + self.token_bytes[right], -1)
             if len(self.pair_rank) > 1_000_000:
                 self.pair_rank.clear()
             self.pair_rank[key] = found
@@ -54,24 +58,27 @@ class MergeReplay:
 
     def replay(self, pieces: list[str]) -> list[tuple[int, ...]]:
         """Token ids of every piece: all merges of the block in rank order."""
-        tokens: list[int] = []
-        starts: list[int] = []
-        single = self.ranks
-        for piece in pieces:
-            starts.append(len(tokens))
-            tokens.extend([single[bytes((b,))] for b in piece.encode("utf-8", "surrogatepass")])
-            tokens.append(-1)  # end of piece: nothing merges across it
-        n = len(tokens)
+        raws = [p.encode("utf-8", "surrogatepass") for p in pieces]
+        sizes = np.fromiter(map(len, raws), np.int64, len(raws))
+        starts = np.cumsum(sizes + 1) - sizes - 1
+        n = int((sizes + 1).sum())
+        laid = np.full(n, -1, np.int64)  # the end of a piece: nothing merges across it
+        data = np.frombuffer(b"".join(raws), np.uint8)
+        at = np.arange(len(data)) + np.repeat(np.arange(len(raws)), sizes)
+        laid[at] = self.byte_rank[data]
+        pair = np.full(n, -1, np.int64)
+        joined = np.nonzero(at[1:] == at[:-1] + 1)[0]
+        pair[at[joined]] = self.first_rank[data[joined], data[joined + 1]]
+        place = np.nonzero(pair >= 0)[0]
+        place = place[np.argsort(pair[place], kind="stable")]
+        ranks, first = np.unique(pair[place], return_index=True)
+        index = dict(zip(ranks.tolist(), [p.tolist() for p in np.split(place, first[1:])], strict=True)) if len(place) else {}
+        tokens: list[int] = laid.tolist()
         after = list(range(1, n + 1))
         before = list(range(-1, n - 1))
-        index: dict[int, list[int]] = {}
-        rank_of = self._rank
-        for i in range(n - 1):
-            a, b = tokens[i], tokens[i + 1]
-            if a >= 0 and b >= 0 and (r := rank_of(a, b)) is not None:
-                index.setdefault(r, []).append(i)
         heap = list(index)
         heapq.heapify(heap)
+        rank_of, known = self._rank, self.pair_rank
         while heap:
             rank = heapq.heappop(heap)
             positions = index.pop(rank, None)
@@ -84,40 +91,54 @@ class MergeReplay:
                     continue
                 j = after[i]
                 b = tokens[j]
-                if b < 0 or rank_of(a, b) != rank:
+                if b < 0:
+                    continue
+                r = known.get(a << 32 | b)
+                if (rank_of(a, b) if r is None else r) != rank:
                     continue  # a neighbour took part in an earlier merge
                 tokens[i] = rank
                 tokens[j] = -2
                 q = after[i] = after[j]
                 before[q] = i
                 lower = False
-                if tokens[q] >= 0 and (r := rank_of(rank, tokens[q])) is not None:
-                    if r in index:
-                        index[r].append(i)
-                    else:
-                        index[r] = [i]
-                        heapq.heappush(heap, r)
-                    lower = r <= rank
+                c = tokens[q]
+                if c >= 0:
+                    r = known.get(rank << 32 | c)
+                    if r is None:
+                        r = rank_of(rank, c)
+                    if r >= 0:
+                        if r in index:
+                            index[r].append(i)
+                        else:
+                            index[r] = [i]
+                            heapq.heappush(heap, r)
+                        lower = r <= rank
                 p = before[i]
-                if p >= 0 and tokens[p] >= 0 and (r := rank_of(tokens[p], rank)) is not None:
-                    if r in index:
-                        index[r].append(p)
-                    else:
-                        index[r] = [p]
-                        heapq.heappush(heap, r)
-                    lower = lower or r <= rank
+                c = tokens[p] if p >= 0 else -1
+                if c >= 0:
+                    r = known.get(c << 32 | rank)
+                    if r is None:
+                        r = rank_of(c, rank)
+                    if r >= 0:
+                        if r in index:
+                            index[r].append(p)
+                        else:
+                            index[r] = [p]
+                            heapq.heappush(heap, r)
+                        lower = lower or r <= rank
                 if lower and k + 1 < len(positions):  # the new pair goes first; the rest waits
                     index.setdefault(rank, []).extend(positions[k + 1:])
                     heapq.heappush(heap, rank)
                     break
-        out = []
-        for s in starts:
-            ids = []
-            i = s
-            while tokens[i] != -1:
-                ids.append(tokens[i])
-                i = after[i]
-            out.append(tuple(ids))
+        # what is left of each piece, in order
+        left = np.array(tokens, np.int64)
+        kept = left[left != -2]
+        cuts = np.nonzero(kept == -1)[0].tolist()
+        ids = kept.tolist()
+        out, lo = [], 0
+        for hi in cuts:
+            out.append(tuple(ids[lo:hi]))
+            lo = hi + 1
         return out
 
     def encode_all(self, texts: list[str | None]) -> list[list[int]]:
