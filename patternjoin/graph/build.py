@@ -96,7 +96,7 @@ def page_link(spark, sf_dir) -> DataFrame:
 def word_next(spark, sf_dir) -> DataFrame:
     """Consecutive lower-cased English words; words are coded by a 64-bit digest."""
     words = F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)"), F.lit(1))
-    w = table(spark, sf_dir, "documents").where("lang = 'en'").select(F.transform(words, F.xxhash64).alias("w")).where("size(w) > 1")
+    w = table(spark, sf_dir, "documents").where("lang = 'en'").select(F.transform(words, lambda x: F.xxhash64(x)).alias("w")).where("size(w) > 1")
     return w.select(F.explode(F.arrays_zip(F.slice("w", F.lit(1), F.size("w") - 1).alias("src"),
                                            F.slice("w", F.lit(2), F.size("w") - 1).alias("dst"))).alias("x")).select("x.src", "x.dst").distinct()
 
