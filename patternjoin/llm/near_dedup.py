@@ -128,22 +128,24 @@ def _components_of(reps: DataFrame, edges: DataFrame) -> DataFrame:
         "rid", F.coalesce("root", "rid").alias("comp"))
 
 
-def _block_links(num: int, den: int):
-    """Links between the queries and the candidates of one pair of blocks."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+def _block_pairs(num: int, den: int, k: int, min_overlap: int, plausible: bool):
+    """Queries against candidates of one pair of blocks, by the overlaps of their value arrays.
 
+    On sketches (plausible) it names the members that have a possible partner, on full sets the links.
+    """
     def run(block: pa.Table) -> pa.Table:
         ids = block["rid"].to_numpy()
         comp = block["comp"].to_numpy()
+        n = block["n"].to_numpy()
         asks = block["asks"].to_numpy(zero_copy_only=False)
         sets = [np.frombuffer(x.as_py(), np.uint64) for x in block["members"]]
         cand = np.nonzero(~asks)[0]
-        sizes = np.array([len(sets[i]) for i in cand])
         a, b = [], []
         if len(cand) and asks.any():
+            sizes = np.array([len(sets[i]) for i in cand])
             universe, place = np.unique(np.concatenate([sets[i] for i in cand]), return_inverse=True)
             starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-            mark = np.zeros(len(universe) + 1, np.int32)
+            mark = np.zeros(len(universe), np.int32)
             for q in np.nonzero(asks)[0]:
                 at = np.searchsorted(universe, sets[q])
                 at[at == len(universe)] = 0
@@ -151,34 +153,66 @@ def _block_links(num: int, den: int):
                 mark[at] = 1
                 common = np.add.reduceat(mark[place], starts)
                 mark[at] = 0
-                hit = (den * common >= num * (len(sets[q]) + sizes - common)) & (comp[cand] != comp[q])
-                for y in ids[cand[hit]].tolist():
-                    a.append(min(int(ids[q]), y))
-                    b.append(max(int(ids[q]), y))
-        return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64())], schema=schema)
+                fits = den * common >= num * (n[q] + n[cand] - common)
+                if plausible:  # whole sets of k values at most decide at once, larger ones by their overlap
+                    fits = np.where((n[q] <= k) & (n[cand] <= k), fits, common >= min_overlap)
+                    fits &= den * np.minimum(n[q], n[cand]) >= num * np.maximum(n[q], n[cand])
+                other = ids[cand[fits & (comp[cand] != comp[q])]]
+                a.append(np.minimum(other, ids[q]))
+                b.append(np.maximum(other, ids[q]))
+        left = np.concatenate(a) if a else np.empty(0, np.int64)
+        right = np.concatenate(b) if b else left
+        if plausible:
+            found = np.unique(np.concatenate([left, right]))
+            return pa.table({"p": np.full(len(found), block["p"][0].as_py(), np.int64), "rid": found.astype(np.int64)})
+        return pa.table({"a": left.astype(np.int64), "b": right.astype(np.int64)})
 
     return run
 
 
-#: Shingles that one block of a group holds: two blocks are what a task has in memory.
-BLOCK_SHINGLES = 250_000
+#: Values that one block of a group holds: two blocks are what a task has in memory.
+BLOCK_VALUES = 500_000
+
+
+def _in_blocks(members: DataFrame, weight, run, schema: str) -> DataFrame:
+    """Deal (p, rid, comp, n, members) over pairs of blocks: outside the largest component against all."""
+    parts = members.groupBy("p", "comp").agg(F.sum(weight).alias("w"))
+    shape = parts.groupBy("p").agg(F.max_by("comp", F.struct("w", "comp")).alias("main"), F.sum("w").alias("all_w"),
+                                   F.max("w").alias("main_w")).where("all_w > main_w").select(
+        "p", "main", F.ceil(F.col("all_w") / BLOCK_VALUES).cast("int").alias("cand_blocks"),
+        F.ceil((F.col("all_w") - F.col("main_w")) / BLOCK_VALUES).cast("int").alias("query_blocks"))
+    rows = members.join(shape, "p")
+    slot = F.xxhash64("rid").bitwiseAND(F.lit(2**62 - 1))
+    span = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    kept = ["p", "rid", "comp", "n", "members"]
+    cands = rows.select(*kept, F.lit(False).alias("asks"), (slot % F.col("cand_blocks")).cast("int").alias("cb"),
+                        F.explode(span("query_blocks")).alias("qb"))
+    asking = rows.where("comp <> main").select(*kept, F.lit(True).alias("asks"), F.explode(span("cand_blocks")).alias("cb"),
+                                               (slot % F.col("query_blocks")).cast("int").alias("qb"))
+    return cands.unionByName(asking).groupBy("p", "cb", "qb").applyInArrow(run, schema).distinct()
 
 
-def _across(groups: DataFrame, comp: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num: int, den: int) -> DataFrame:
+def _across(groups: DataFrame, comp: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num: int, den: int,
+            k: int, min_overlap: int) -> DataFrame:
     """Links (a < b) inside the groups between classes that are not joined yet.
 
     The members outside a group's largest component are its queries; they are compared with all
-    members, block by block, on full sets. Only links leave a task.
+    members, block by block: first by sketch, which leaves out members without a possible partner,
+    then on full sets. Only links leave a task.
     """
-    placed = groups.join(comp, "rid").join(reps.select("rid", "n"), "rid")
+    placed = groups.join(comp, "rid")
     open_groups = placed.where("p <> rid").groupBy("p").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where(
         "lo <> hi").select("p")
-    parts = placed.join(open_groups, "p").groupBy("p", "comp").agg(F.sum("n").alias("n"))
-    shape = parts.groupBy("p").agg(F.max_by("comp", F.struct("n", "comp")).alias("main"), F.sum("n").alias("all_n"),
-                                   F.max("n").alias("main_n")).select(
-        "p", "main", F.ceil(F.col("all_n") / BLOCK_SHINGLES).cast("int").alias("cand_blocks"),
-        F.ceil((F.col("all_n") - F.col("main_n")) / BLOCK_SHINGLES).cast("int").alias("query_blocks"))
-    members = cut(placed.join(shape, "p"), "near-open")
+
+    def packed(batches):
+        for batch in batches:
+            raw = [np.array(x.as_py(), np.uint64).tobytes() for x in batch.column(4)]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(raw, pa.binary())], names=["p", "rid", "comp", "n", "members"])
+
+    layout = "p long, rid long, comp long, n long, members binary"
+    sketched = cut(placed.join(open_groups, "p").join(reps.select("rid", "n", "sk"), "rid").select("p", "rid", "comp", "n", "sk").mapInArrow(
+        packed, layout), "near-open")
+    hopeful = cut(_in_blocks(sketched, F.least("n", F.lit(k)), _block_pairs(num, den, k, min_overlap, True), "p long, rid long"), "near-hopeful")
 
     def set_of(batches):
         for batch in batches:
@@ -186,18 +220,10 @@ def _across(groups: DataFrame, comp: DataFrame, reps: DataFrame, texts: DataFram
                 [batch.column(0), pa.array([shingle_set(t.as_py(), width).tobytes() for t in batch.column(1)], pa.binary())],
                 names=["rid", "members"])
 
-    sets = texts.join(members.select("rid").distinct(), "rid", "left_semi").select("rid", "text").mapInArrow(
+    sets = texts.join(hopeful.select("rid").distinct(), "rid", "left_semi").select("rid", "text").mapInArrow(
         set_of, "rid long, members binary")
-    rows = members.join(sets, "rid")
-    slot = F.xxhash64("rid").bitwiseAND(F.lit(2**62 - 1))
-    span = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
-    kept = ["p", "rid", "comp", "members"]
-    cands = rows.select(*kept, F.lit(False).alias("asks"), (slot % F.col("cand_blocks")).cast("int").alias("cb"),
-                        F.explode(span("query_blocks")).alias("qb"))
-    asking = rows.where("comp <> main").select(*kept, F.lit(True).alias("asks"), F.explode(span("cand_blocks")).alias("cb"),
-                                               (slot % F.col("query_blocks")).cast("int").alias("qb"))
-    both = cands.unionByName(asking)
-    return both.groupBy("p", "cb", "qb").applyInArrow(_block_links(num, den), "a long, b long").distinct()
+    full = sketched.drop("members").join(hopeful, ["p", "rid"], "left_semi").join(sets, "rid")
+    return _in_blocks(full, F.col("n"), _block_pairs(num, den, k, min_overlap, False), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", width: int = 5,
@@ -240,7 +266,7 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str
     pairs = groups.where("p <> rid").select(F.least("rid", "p").alias("a"), F.greatest("rid", "p").alias("b")).distinct()
     edges = cut(_linked(pairs, reps, texts, width, num, den, k, min_overlap), "near-links")
     comp = _components_of(reps, edges)
-    edges = cut(edges.unionByName(_across(groups, comp, reps, texts, width, num, den)), "near-links")
+    edges = cut(edges.unionByName(_across(groups, comp, reps, texts, width, num, den, k, min_overlap)), "near-links")
     comp = _components_of(reps, edges)
     named_class = reps.select("fp", "rid").join(comp, "rid").select("fp", "comp")
     out = sig.select("doc_id", "n_shingles", "fp").join(named_class, "fp", "left")
