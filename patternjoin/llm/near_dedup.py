@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from .common import cut, forget
 from .components import connected_components
+from .suffix_dedup import key_filter
 
 K = 64
 #: Overlap that a pair of sketches of K values must show. For similarity 0.8 the overlap is
@@ -100,6 +101,19 @@ def _verify(width: int, num: int, den: int):
     return run
 
 
+def _texts_of(texts: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Texts of the wanted rids; a bounded filter keeps most others out of the shuffle."""
+    wanted = cut(wanted, "near-wanted")
+    known = texts.sparkSession.sparkContext.broadcast(key_filter(wanted, "rid", wanted.count()))
+
+    def may_be_wanted(batches):
+        for batch in batches:
+            yield batch.filter(pa.array(known.value.holds(batch.column(0).to_numpy())))
+
+    near = texts.where("rid is not null").select("rid", "text").mapInArrow(may_be_wanted, "rid long, text string")
+    return cut(near.join(wanted, "rid", "left_semi"), "near-texts")
+
+
 def _linked(pairs: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num: int, den: int,
             k: int, min_overlap: int) -> DataFrame:
     """The pairs (a < b) whose union sketch allows and whose full sets confirm the similarity."""
@@ -115,7 +129,7 @@ def _linked(pairs: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num
               .select("a", "b"))
     likely = cut(likely, "near-likely")
     needed = likely.select(F.col("a").alias("rid")).union(likely.select("b")).distinct()
-    sets = texts.join(needed, "rid", "left_semi")
+    sets = _texts_of(texts, needed)
     full = (likely.join(sets.select(F.col("rid").alias("b"), F.col("text").alias("tb")), "b")
             .join(sets.select(F.col("rid").alias("a"), F.col("text").alias("ta")), "a")
             .select("a", "b", "ta", "tb"))
@@ -220,7 +234,7 @@ def _across(groups: DataFrame, comp: DataFrame, reps: DataFrame, texts: DataFram
                 [batch.column(0), pa.array([shingle_set(t.as_py(), width).tobytes() for t in batch.column(1)], pa.binary())],
                 names=["rid", "members"])
 
-    sets = texts.join(hopeful.select("rid").distinct(), "rid", "left_semi").select("rid", "text").mapInArrow(
+    sets = _texts_of(texts, hopeful.select("rid").distinct()).select("rid", "text").mapInArrow(
         set_of, "rid long, members binary")
     full = sketched.drop("members").join(hopeful, ["p", "rid"], "left_semi").join(sets, "rid")
     return _in_blocks(full, F.col("n"), _block_pairs(num, den, k, min_overlap, False), "a long, b long")
@@ -255,15 +269,16 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str
                       F.explode(F.slice("vs", F.lit(1), F.col("room"))).alias("x"))
               .select("rid", "n", "hub", F.col("x.v").alias("v")))
     index = cut(listed, "near-index")
-    # only members of a list with two classes can meet a partner: their texts are laid out once
-    met = index.groupBy("v").agg(F.count("*").alias("c")).where("c > 1")
-    texts = cut(texts.join(index.join(met, "v", "left_semi").select("rid").distinct(), "rid", "left_semi"), "near-texts")
 
     # a list's pivot is its hub; lists of one group of copies have the same hub, so they fall together
-    hubs = index.groupBy("v").agg(F.max_by("rid", F.struct("hub", -F.col("rid"))).alias("p"),
-                                  F.count("*").alias("c")).where("c > 1").select("v", "p")
-    groups = cut(index.join(hubs, "v").select("p", "rid").distinct(), "near-groups")
-    pairs = groups.where("p <> rid").select(F.least("rid", "p").alias("a"), F.greatest("rid", "p").alias("b")).distinct()
+    hubs = index.groupBy("v").agg(F.max_by(F.struct("rid", "n"), F.struct("hub", -F.col("rid"))).alias("top"),
+                                  F.count("*").alias("c")).where("c > 1").select(
+        "v", F.col("top.rid").alias("p"), F.col("top.n").alias("pn"), "c")
+    # a list of two is settled by its one pair; only longer ones can join members beside their hub
+    groups = cut(index.join(hubs, "v").groupBy("p", "pn", "rid", "n").agg(F.max("c").alias("c")), "near-groups")
+    alike = den * F.least("n", "pn") >= num * F.greatest("n", "pn")
+    pairs = groups.where("p <> rid").where(alike).select(F.least("rid", "p").alias("a"), F.greatest("rid", "p").alias("b")).distinct()
+    groups = groups.where("c > 2").select("p", "rid")
     edges = cut(_linked(pairs, reps, texts, width, num, den, k, min_overlap), "near-links")
     comp = _components_of(reps, edges)
     edges = cut(edges.unionByName(_across(groups, comp, reps, texts, width, num, den, k, min_overlap)), "near-links")

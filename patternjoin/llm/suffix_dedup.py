@@ -147,7 +147,7 @@ class KeyFilter:
         return (self.cells[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & np.uint8(1) > 0
 
 
-def _key_filter(keys: DataFrame, column: str, n: int) -> KeyFilter:
+def key_filter(keys: DataFrame, column: str, n: int) -> KeyFilter:
     """Built by the executors segment by segment; at most FILTER_BITS[1] bits reach the driver."""
     bits = FILTER_BITS[0]
     while bits < min(8 * n, FILTER_BITS[1]):
@@ -349,7 +349,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_
     shared = cut(rows.groupBy("h").agg(F.count("*").alias("c"), (F.min("ctx") != F.max("ctx")).alias("mixed")).where("c > 1")
                  .select("h", "mixed"), "suffix-shared")
     context = docs.sparkSession.sparkContext
-    known = context.broadcast(_key_filter(shared, "h", shared.count()))
+    known = context.broadcast(key_filter(shared, "h", shared.count()))
 
     def may_share(batches):
         for batch in batches:
@@ -363,7 +363,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_
     sizes = kinds.groupBy("h").agg(F.ceil(F.count("*") / CHUNK_CONTEXTS).cast("int").alias("chunks"))
 
     owners = hits.select("d1")
-    in_hits = context.broadcast(_key_filter(owners, "d1", hits.count()))
+    in_hits = context.broadcast(key_filter(owners, "d1", hits.count()))
 
     def split(batches):
         for part in _laid(batches, 1):
