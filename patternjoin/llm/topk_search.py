@@ -133,8 +133,12 @@ def exact_top_k(vectors: DataFrame, k: int = 5, query_divisor: int = 50, scale:
     queries = (ints.where(F.col("vec_id") % query_divisor == 0).dropDuplicates(["vec_id"])
                .mapInArrow(pack(query_rows), packed)
                .select("dims", *[F.col(c).alias(f"q_{c}") for c in ("n", "small", "ids", "data")]))
-    # few, large rows on both sides: one pair of blocks is one unit of work
-    pairs = rows.join(queries, "dims")
+    # few, large rows on both sides: one pair of blocks is one unit of work. Blocks of rows are dealt
+    # to slots and every batch of queries goes to all slots, so that pairs spread over the cluster.
+    slots = max(1, -(-ints.count() // block_rows))
+    rows = rows.withColumn("slot", F.pmod(F.xxhash64("ids"), F.lit(slots)).cast("int"))
+    queries = queries.withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(slots - 1))))
+    pairs = rows.join(queries, ["dims", "slot"])
 
     def vectors_of(n, small, ids, data, dims):
         return (np.frombuffer(ids, np.int64, n),
