@@ -13,7 +13,10 @@ Relations = dict[str, DataFrame]
 
 
 def bind(atom: Atom, rels: Relations) -> DataFrame:
-    """The atom's relation with set semantics, null-free; a repeated variable keeps the rows where both agree."""
+    """The atom's relation without nulls; a repeated variable keeps the rows where both agree.
+
+    Relations are sets: the graph builders return distinct rows, other callers see to it once.
+    """
     df = rels[atom.rel]
     if len(df.columns) != len(atom.vars):
         raise ValueError(f"{atom.rel} has {len(df.columns)} columns, the atom {len(atom.vars)} variables")
