@@ -83,7 +83,11 @@ def _star(spark, d):
             .groupBy("r_name").agg(F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue")))
 
 
-_O = W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+def _o():
+    # columns need a running session, so the window is made when a query is
+    return W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
 _OW = "over (partition by o_custkey order by o_orderdate, o_orderkey)"
 
 
@@ -147,11 +151,11 @@ OPERATORS = {
     "agg_collect_adjacency": (lambda s, d: _adj(s, d).select("node", F.array_join(F.transform("nbrs", lambda x: x.cast("string")), ",").alias("nbrs")), _ADJ + "select node, array_to_string(nbrs, ',') as nbrs from g"),
     "agg_stddev": (lambda s, d: t(s, d, _L).groupBy("l_returnflag").agg(F.round(F.stddev("l_quantity"), 6).alias("s"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("c")), "select l_returnflag, round(stddev_samp(l_quantity), 6) as s, round(corr(l_quantity, l_extendedprice), 6) as c from lineitem group by 1"),
     "agg_max_by": (lambda s, d: t(s, d, "customer").groupBy("c_nationkey").agg(F.max_by("c_custkey", F.struct("c_acctbal", "c_custkey")).alias("best")), "select c_nationkey, arg_max(c_custkey, row(c_acctbal, c_custkey)) as best from customer group by 1"),
-    "win_ranks": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.row_number().over(_O).alias("r"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("k"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("dk")), f"select o_orderkey, row_number() {_OW} as r, rank() over (partition by o_custkey order by o_orderstatus) as k, dense_rank() over (partition by o_custkey order by o_orderstatus) as dk from orders"),
-    "win_lag_lead": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(_O).alias("before"), F.lead("o_orderkey").over(_O).alias("after")), f"select o_orderkey, lag(o_orderkey) {_OW} as before, lead(o_orderkey) {_OW} as after from orders"),
-    "win_ntile": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.ntile(4).over(_O).alias("n")), f"select o_orderkey, ntile(4) {_OW} as n from orders"),
-    "win_running": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(_O.rowsBetween(-2, 0)), 2).alias("s")), "select o_orderkey, round(sum(o_totalprice) over (partition by o_custkey order by o_orderdate, o_orderkey rows between 2 preceding and current row), 2) as s from orders"),
-    "win_first_last": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.first("o_orderkey").over(_O).alias("f"), F.nth_value("o_orderkey", 2).over(_O).alias("n2")), f"select o_orderkey, first_value(o_orderkey) {_OW} as f, nth_value(o_orderkey, 2) {_OW} as n2 from orders"),
+    "win_ranks": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.row_number().over(_o()).alias("r"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("k"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("dk")), f"select o_orderkey, row_number() {_OW} as r, rank() over (partition by o_custkey order by o_orderstatus) as k, dense_rank() over (partition by o_custkey order by o_orderstatus) as dk from orders"),
+    "win_lag_lead": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(_o()).alias("before"), F.lead("o_orderkey").over(_o()).alias("after")), f"select o_orderkey, lag(o_orderkey) {_OW} as before, lead(o_orderkey) {_OW} as after from orders"),
+    "win_ntile": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.ntile(4).over(_o()).alias("n")), f"select o_orderkey, ntile(4) {_OW} as n from orders"),
+    "win_running": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(_o().rowsBetween(-2, 0)), 2).alias("s")), "select o_orderkey, round(sum(o_totalprice) over (partition by o_custkey order by o_orderdate, o_orderkey rows between 2 preceding and current row), 2) as s from orders"),
+    "win_first_last": (lambda s, d: t(s, d, "orders").select("o_orderkey", F.first("o_orderkey").over(_o()).alias("f"), F.nth_value("o_orderkey", 2).over(_o()).alias("n2")), f"select o_orderkey, first_value(o_orderkey) {_OW} as f, nth_value(o_orderkey, 2) {_OW} as n2 from orders"),
     "sort_topk": (lambda s, d: t(s, d, "part").orderBy(F.desc("p_retailprice"), "p_partkey").limit(10).select("p_partkey", "p_retailprice"), "select p_partkey, p_retailprice from part order by p_retailprice desc, p_partkey limit 10"),
     "sort_topk_per_group": (lambda s, d: t(s, d, "part").withColumn("r", F.row_number().over(W.partitionBy("p_brand").orderBy(F.desc("p_retailprice"), "p_partkey"))).where("r <= 3").select("p_brand", "p_partkey"), "select p_brand, p_partkey from part qualify row_number() over (partition by p_brand order by p_retailprice desc, p_partkey) <= 3"),
     "limit_offset": (lambda s, d: t(s, d, "orders").orderBy("o_orderkey").offset(20).limit(15).select("o_orderkey"), "select o_orderkey from orders order by o_orderkey limit 15 offset 20"),
