@@ -8,7 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions import catalogue
+from .functions import catalogue, extensions
 from .graph import build as G
 from .kernel.gap import Options
 from .operators import acyclic as A
@@ -325,6 +325,7 @@ add("cover_bound_clique3_copurchase_ret", _bound,
 for _g in ("copurchase", "copurchase_ret", "cosupply_ret", "handoff_dir", "handoff", "sup_part", "part_cust", "sup_cust", "cust_part", "doc_share", "page_share"):
     add(f"graph_{_g}", lambda spark, d, g=_g: graph(spark, d, g), graph_sql(_g))
 add("graph_word_next", lambda spark, d: graph(spark, d, "word_next"))
+add("graph_page_link", lambda spark, d: graph(spark, d, "page_link"))
 add("graph_vec_sim", lambda spark, d: graph(spark, d, "vec_sim"))
 add("sample_nodes_copurchase_s8", lambda spark, d: G.samples(graph(spark, d, "copurchase"), 8)["v1"], _with("copurchase", 8) + "select node from v1")
 
@@ -346,7 +347,7 @@ add("sixnf_rejoin_orders", lambda spark, d: A.recompose(
     "select o_orderkey, o_custkey, o_orderstatus, o_totalprice, o_orderpriority from orders where o_orderstatus = 'F' and o_totalprice > 100000 and o_custkey is not null and o_orderpriority is not null")
 add("stream_edge_view_handoff", views.replayed_triangles, _with("handoff") + chooser.pattern_sql(P.clique(3)))
 
-for _name, (_f, _sql) in catalogue.OPERATORS.items():
+for _name, (_f, _sql) in (catalogue.OPERATORS | extensions.EXTENSIONS).items():
     add(f"op_{_name}", _f, _sql)
 
 
