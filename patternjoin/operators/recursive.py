@@ -50,8 +50,8 @@ def pagerank(edges: DataFrame, rounds: int = 10, damping: float = 0.85) -> DataF
     path = folder(edges.sparkSession, "rank")
     out = written(edges.groupBy("src").agg(F.count("*").alias("arcs")).withColumnRenamed("src", "node"), f"{path}/out")
     every = written(nodes(edges).join(out, "node", "left"), f"{path}/nodes")
-    n = every.count()
-    rank = every.select("node", "arcs", F.lit(1.0 / max(1, n)).alias("rank"))
+    n = max(1, every.count())
+    rank = every.select("node", "arcs", F.lit(1.0 / n).alias("rank"))
     for turn in range(rounds):
         idle = rank.where("arcs is null").agg(F.coalesce(F.sum("rank"), F.lit(0.0))).first()[0]
         given = rank.where("arcs is not null").join(edges, F.col("node") == F.col("src")).groupBy("dst").agg(F.sum(F.col("rank") / F.col("arcs")).alias("got"))
