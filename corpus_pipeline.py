@@ -29,14 +29,31 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     return named.where("__found <> 'und'").withColumn("lang", F.coalesce("lang", "__found")).select(*docs.columns)
 
 
+def one_of_each(docs: DataFrame) -> DataFrame:
+    """Of rows that share 0.8 of their five-word shingles, the one with the smallest id stays, rows without one last.
+
+    Every row takes part under a number of its own, so repeated rows are copies as well, and texts
+    that differ under one id are not.
+    """
+    rows = cut(docs.withColumn("__row", F.monotonically_increasing_id()), "near-rows")
+    classes = near_duplicates(rows, id_column="__row").select(F.col("doc_id").alias("__row"), "component_id")
+    first = rows.select("__row", "doc_id").join(classes, "__row").groupBy("component_id").agg(
+        F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "__row")).alias("first")).select("first.__row")
+    return rows.join(first, "__row", "left_semi").select(*docs.columns)
+
+
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of documents that share 0.8 of their five-word shingles, the one with the smallest id stays."""
-    gone = near_duplicates(docs.select("doc_id", "text")).where("not kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """One row of each class of near copies; rows without an id stay until the next stage settles them."""
+    return one_of_each(docs.where("doc_id is not null")).unionByName(docs.where("doc_id is null"))
 
 
 def suffix_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Byte strings of 200 that occur elsewhere as well are cut out of the texts."""
+    """Byte strings of 200 that occur elsewhere as well are cut out of the texts.
+
+    Copies would lose all of their text to each other, so rows without an id are settled first.
+    """
+    if not docs.where("doc_id is null").isEmpty():
+        docs = one_of_each(docs)
     cleaned = remove_repeats(docs.select(*docs.columns), keep_text=True, carry=tuple(c for c in docs.columns if c != "text"))
     text = F.when(F.col("n_removed") > 0, F.length("kept_text"))
     columns = [F.col("kept_text").alias("text") if c == "text" else

@@ -242,3 +242,40 @@ def test_pipeline_stages(spark, odd, empty):
         C.STAGES[-1][1](spark, docs, "").count()
     kept = {r["doc_id"] for r in C.near_dedup_stage(spark, odd, "").collect()}
     assert 4 in kept and 5 not in kept and None in kept
+
+
+def test_pipeline_against_brute_force(spark, monkeypatch, tmp_path):
+    import corpus_pipeline as C
+
+    g = random.Random(11)
+    text = lambda n: " ".join("".join(g.choice("abcdefghijklmnop") for _ in range(g.randint(3, 8))) for _ in range(n))
+    a, b, c, d, passage = text(90), text(90), text(90), text(90), text(60)
+    rows = [(1, a), (1, a), (2, a), (None, a), (3, b), (None, b), (None, b), (None, c), (None, c), (4, d), (5, d.replace(d.split()[40], "other", 1)),
+            (6, text(80)), (6, text(80)), (7, text(20) + " " + passage), (8, passage + " " + text(30)), (9, "12 !?"), (10, None), (None, "")]
+    docs = table(spark, [(i, t, "en", "a") for i, t in rows])
+    docs.write.parquet(str(tmp_path / "documents.parquet"))
+
+    kept: list[tuple] = []
+    for i, t in sorted((r for r in rows if any(x.isalpha() for x in r[1] or "")), key=lambda r: (r[0] is None, r[0] or 0)):
+        if all(5 * len(shingles(t, 5) & shingles(u, 5)) < 4 * len(shingles(t, 5) | shingles(u, 5)) for _, u in kept):
+            kept.append((i, t))
+    counts = Counter(t.encode()[k:k + 200] for _, t in kept for k in range(len(t.encode()) - 199))
+    cleaned = []
+    for i, t in kept:
+        x, gone = t.encode(), np.zeros(len(t.encode()), bool)
+        for k in range(len(x) - 199):
+            if counts[x[k:k + 200]] > 1:
+                gone[k:k + 200] = True
+        cleaned.append((i, np.frombuffer(x, np.uint8)[~gone].tobytes().decode()))
+    assert len(cleaned) == 8 and all(t for _, t in cleaned)
+
+    seen, written = {}, C.cut
+    monkeypatch.setattr(C, "cut", lambda df, label: seen.update({label: written(df, label)}) or seen[label])
+    got = Counter((r["doc_id"], tuple(r["token_ids"])) for r in C.run(spark, str(tmp_path)).collect())
+    assert sorted(((r["doc_id"], r["text"]) for r in seen["stage-suffix_dedup"].collect()), key=str) == sorted(cleaned, key=str)
+    uses = {r["doc_id"]: r["uses"] for r in mix_sources(table(spark, [(i, t, "en", "a") for i, t in cleaned]).select("doc_id", "text", "source")).collect()
+            if r["doc_id"] is not None}
+    library = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_bpe.read_ranks(RANKS), special_tokens={})
+    want = Counter((i, tuple(library.encode_ordinary(t))) for i, t in cleaned if i in uses for _ in range(uses[i]))
+    assert {k: n for k, n in got.items() if k[0] in uses} == want
+    assert {i for i, _ in got} <= {i for i, _ in cleaned}
