@@ -69,12 +69,11 @@ def cust_part(spark, sf_dir) -> DataFrame:
     return part_cust(spark, sf_dir).select(F.col("dst").alias("src"), F.col("src").alias("dst"))
 
 
-def doc_share(spark, sf_dir, most: int = 1000) -> DataFrame:
-    """Documents that share a line of 20 characters or more; lines of more than `most` documents are boilerplate."""
+def doc_share(spark, sf_dir) -> DataFrame:
+    """Documents that share a line of 20 characters or more, however many hold it."""
     lines = table(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("l")).select(
         "doc_id", F.trim("l").alias("l")).where("length(l) >= 20").distinct()
-    rare = lines.groupBy("l").agg(F.count("*").alias("c")).where(F.col("c").between(2, most)).select("l")
-    return _pairs(lines.join(rare, "l"), "l", "doc_id")
+    return _pairs(lines, "l", "doc_id")
 
 
 def _hrefs(spark, sf_dir) -> DataFrame:
@@ -82,10 +81,15 @@ def _hrefs(spark, sf_dir) -> DataFrame:
         "page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("href")).distinct()
 
 
-def page_share(spark, sf_dir, most: int = 1000) -> DataFrame:
+def page_share(spark, sf_dir) -> DataFrame:
+    return _pairs(_hrefs(spark, sf_dir), "href", "page_id")
+
+
+def page_stars(spark, sf_dir) -> DataFrame:
+    """The components of page_share with one edge for each page of an href, from its smallest page."""
     links = _hrefs(spark, sf_dir)
-    rare = links.groupBy("href").agg(F.count("*").alias("c")).where(F.col("c").between(2, most)).select("href")
-    return _pairs(links.join(rare, "href"), "href", "page_id")
+    first = links.groupBy("href").agg(F.min("page_id").alias("src"))
+    return links.join(first, "href").where("src < page_id").select("src", F.col("page_id").alias("dst")).distinct()
 
 
 def page_link(spark, sf_dir) -> DataFrame:

@@ -5,6 +5,8 @@ import random
 
 import pytest
 
+from patternjoin.functions.extensions import EXTENSIONS
+from patternjoin.graph import build as G
 from patternjoin.operators import recursive as R
 from patternjoin.streaming import replays
 
@@ -53,3 +55,15 @@ def test_components_and_ranks(spark, arcs):
 def test_late_rows_go(spark):
     first = replays.late(spark, D).selectExpr("min(start) as s").first()["s"]
     assert str(first)[:10] == "2024-01-02"  # the first day came last
+
+
+def test_frequent_lines_and_hrefs_count(spark, tmp_path):
+    n = 1_050
+    shared = "a line of twenty letters and more"
+    spark.createDataFrame([(i, f"own line of this one document {i}\n{shared}") for i in range(n)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    pages = [(i, '<a href="/all">') for i in range(n)] + [(5_000, '<a href="/b">'), (5_001, '<a href="/b">')]
+    spark.createDataFrame(pages, "page_id long, html string").write.parquet(str(tmp_path / "pages.parquet"))
+    assert G.doc_share(spark, str(tmp_path)).count() == n * (n - 1) // 2
+    assert G.page_share(spark, str(tmp_path)).count() == n * (n - 1) // 2 + 1
+    found = {r["node"]: r["component"] for r in EXTENSIONS["rec_components"][0](spark, str(tmp_path)).collect()}
+    assert found == dict.fromkeys(range(n), 0) | {5_000: 5_000, 5_001: 5_000}
