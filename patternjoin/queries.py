@@ -274,7 +274,7 @@ for _shape in ("comb2", "path3"):
         "none": Options(reuse_gap_origin=False, complete_nodes=False), "seeks": Options(complete_nodes=False), "both": Options()}))
 add("ablation_frontier_path3_handoff_dir_s80", lambda spark, d: _ablation(spark, d, P.path(3), "handoff_dir", 80, {
     "unit_boxes": Options(frontier=False), "frontier": Options()}))
-add("ablation_skeleton_clique3_copurchase_ret", lambda spark, d: _ablation(spark, d, P.clique(3), "cosupply_ret", None, {
+add("ablation_skeleton_clique3_copurchase_ret", lambda spark, d: _ablation(spark, d, P.clique(3), "copurchase_ret", None, {
     "closure": Options(cyclic="closure"), "skeleton": Options()}))
 add("orders_path4_handoff_dir_s80", lambda spark, d: reduce(lambda a, b: a.unionByName(b), [
     cells.partitioned_gap_join(P.path(4), _sampled(spark, d, "handoff_dir", 80), parts=2, order=tuple(f"x{'ABCDE'.index(c)}" for c in o)).select(

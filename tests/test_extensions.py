@@ -67,3 +67,11 @@ def test_frequent_lines_and_hrefs_count(spark, tmp_path):
     assert G.page_share(spark, str(tmp_path)).count() == n * (n - 1) // 2 + 1
     found = {r["node"]: r["component"] for r in EXTENSIONS["rec_components"][0](spark, str(tmp_path)).collect()}
     assert found == dict.fromkeys(range(n), 0) | {5_000: 5_000, 5_001: 5_000}
+
+
+def test_skeleton_ablation_runs_on_its_graph(spark):
+    from patternjoin.queries import QUERIES
+
+    (want,) = QUERIES["clique3_prefix_copurchase_ret"](spark, D).collect()
+    got = {r["variant"]: r["cnt"] for r in QUERIES["ablation_skeleton_clique3_copurchase_ret"](spark, D).collect()}
+    assert got == {"closure": want["cnt"], "skeleton": want["cnt"]}
