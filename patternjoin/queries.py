@@ -278,7 +278,7 @@ add("ablation_skeleton_clique3_copurchase_ret", lambda spark, d: _ablation(spark
     "closure": Options(cyclic="closure"), "skeleton": Options()}))
 add("orders_path4_handoff_dir_s80", lambda spark, d: reduce(lambda a, b: a.unionByName(b), [
     cells.partitioned_gap_join(P.path(4), _sampled(spark, d, "handoff_dir", 80), parts=2, order=tuple(f"x{'ABCDE'.index(c)}" for c in o)).select(
-        F.lit(o).alias("order"), "cnt", "candidates", "boxes", "seeks") for o in ("ABCDE", "BACDE", "CBADE", "ABDCE")]))
+        F.lit(o).alias("order"), "cnt", "candidates", "boxes", "seeks") for o in ("ABCDE", "BACDE", "BCADE", "CBADE", "CBDAE", "BADCE", "ABDCE")]))
 add("granularity_clique3_copurchase_ret", lambda spark, d: reduce(lambda a, b: a.unionByName(b), [
     cells.partitioned_gap_join(P.clique(3), {"e": graph(spark, d, "copurchase_ret")}, parts=2, granularity=f).select(
         F.lit(f).alias("f"), "cnt") for f in (1, 2, 3, 4, 8, 12, 14)]),
