@@ -143,7 +143,7 @@ EXTENSIONS = {
     **REPLAYS,
     "st_restart": (restarted_view, f"with a as ({_DIR}), e as (select distinct least(src, dst) as src, greatest(src, dst) as dst from a) select count(*) as cnt from e x join e y on x.dst = y.src join e z on z.src = x.src and z.dst = y.dst"),
     "rec_bfs": (lambda s, d: (lambda e: R.bfs(e, _first(e)))(G.handoff_dir(s, d)), f"with recursive e as ({_DIR}), r(node, dist) as (select min(src), 0 from e union select e.dst, r.dist + 1 from r join e on r.node = e.src where r.dist < 30) select node, cast(min(dist) as int) as dist from r group by 1"),
-    "rec_shortest_path": (lambda s, d: (lambda e: R.shortest_paths(e, _first(e), 60))(_weighted(s, d)), f"with recursive e as (select src, dst, (src * 7 + dst * 13) % 10 + 1 as w from ({_DIR})), r(node, dist) as (select min(src), 0::bigint from e union select e.dst, r.dist + e.w from r join e on r.node = e.src where r.dist + e.w <= 60) select node, min(dist) as dist from r group by 1"),
+    "rec_shortest_path": (lambda s, d: (lambda e: R.shortest_paths(e, _first(e)))(_weighted(s, d)), f"with recursive e as (select src, dst, (src * 7 + dst * 13) % 10 + 1 as w from ({_DIR})), r(node, dist) as (select min(src), 0::bigint from e union select e.dst, r.dist + e.w from r join e on r.node = e.src where r.dist + e.w <= 60) select node, min(dist) as dist from r group by 1"),
     "rec_pagerank": (lambda s, d: R.pagerank(G.handoff_dir(s, d), _ROUNDS).select("node", F.round("rank", 9).alias("rank")), _ranks_sql()),
     "rec_components": (lambda s, d: R.components(G.page_stars(s, d)), _PAGES.replace("with ", "with recursive ", 1) + ", b as (select src, dst from e union select dst, src from e), r(node, root) as (select src, src from b union select b.dst, r.root from r join b on r.node = b.src) select node, min(root) as component from r group by 1"),
     "udf_scalar_arrow": (_arrow_udf, f"with e as ({_RET}), {_EVERY} select node from n where ((node * 2654435761 + 12345) % 4294967296) * 8 < 4294967296"),

@@ -75,3 +75,12 @@ def test_skeleton_ablation_runs_on_its_graph(spark):
     (want,) = QUERIES["clique3_prefix_copurchase_ret"](spark, D).collect()
     got = {r["variant"]: r["cnt"] for r in QUERIES["ablation_skeleton_clique3_copurchase_ret"](spark, D).collect()}
     assert got == {"closure": want["cnt"], "skeleton": want["cnt"]}
+
+
+def test_registered_paths_have_no_bound(spark, tmp_path):
+    """A chain of 40 arcs: its last nodes are farther than 60."""
+    rows = [(k, k, f"2024-01-01 00:{k:02d}:00") for k in range(41)]
+    spark.createDataFrame(rows, "event_id long, user_id long, ts string").selectExpr("event_id", "user_id", "cast(ts as timestamp_ntz) as ts").write.parquet(str(tmp_path / "events.parquet"))
+    want = nearest([(k, k + 1) for k in range(40)], 0, lambda a, b: (a * 7 + b * 13) % 10 + 1)
+    assert max(want.values()) > 60
+    assert {r["node"]: r["dist"] for r in EXTENSIONS["rec_shortest_path"][0](spark, str(tmp_path)).collect()} == want
