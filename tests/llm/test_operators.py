@@ -135,6 +135,16 @@ def test_language_model(spark, odd, empty):
     assert lm_scoring.score_texts(empty, held, RANKS).count() == 0
 
 
+def test_model_learns_from_every_text(spark):
+    words = [w for w in (t.decode("ascii", "ignore") for t in byte_bpe.read_ranks(RANKS)) if w.isalpha()]
+    single = [(w, ids[0]) for w, ids in zip(words, lm_scoring.subword_ids(words, RANKS), strict=True) if len(ids) == 1]
+    rows = [(k, w) for k, (w, _) in enumerate(single)] * (1 + 2_400 // len(single))
+    rows = [(k, *r[1:]) for k, r in enumerate(rows)] + [(len(rows) + k, "a" * (k % 7)) for k in range(2_400)]
+    p, q = lm_scoring.initial(), lm_scoring.fit_model(spark.createDataFrame(rows, "doc_id long, text string"), RANKS)
+    moved = (p["E"] != q["E"]).any(axis=1)
+    assert len(rows) > 4_000 and all(moved[i] for _, i in single)
+
+
 def test_model_scores_each_id_once():
     p = lm_scoring.initial()
     ids = [[5, 700, 33] * n for n in (0, 1, 9, 60, 4000)]
