@@ -8,7 +8,7 @@ The flow of a pattern is then filled with whole documents in a seeded order.
 
 from __future__ import annotations
 
-import heapq
+from collections import deque
 from collections.abc import Sequence
 
 from pyspark.sql import DataFrame, Window
@@ -18,8 +18,8 @@ from .common import WORD
 
 #: Patterns the driver's flow network may have; more is an error and not a silent cut.
 MAX_PATTERNS = 100_000
-#: Hex digits of the seeded key that name a bucket: 65,536 buckets for each pattern.
-BUCKET_DIGITS = 4
+#: Hex digits of the seeded key that name a bucket, level by level: at most 256 sums below each.
+BUCKET_DIGITS = (2, 4)
 
 
 def capped_targets(sizes: Sequence[float], weights: Sequence[float], cap: float) -> list[float]:
@@ -41,61 +41,69 @@ def capped_targets(sizes: Sequence[float], weights: Sequence[float], cap: float)
 
 def min_cost_flow(capacity: dict[str, float], members: dict[str, Sequence[str]], quota: dict[str, float],
                   repeats: int) -> dict[tuple[str, str], float]:
-    """Flow (pattern, source) -> tokens by successive cheapest paths.
+    """Flow (pattern, source) -> tokens of least cost among those that meet the quotas as far as capacity allows.
 
-    Layer r of a pattern (its tokens used for the r-th time) costs r - 1 a token: convex, so
-    layers fill in order. Quotas are met as far as capacity allows.
+    Layer r of a pattern (its tokens used for the r-th time) costs r - 1 a token. Only the arcs from
+    the origin cost anything and a path uses one of them, so the cheapest paths are those over the
+    lowest layer that is open: a maximum flow, extended layer by layer, is the min-cost flow.
     """
-    graph: dict[object, list[list]] = {}
+    patterns, sources = list(capacity), list(quota)
+    place = {s: len(patterns) + i for i, s in enumerate(sources)}
+    origin, end = len(patterns) + len(sources), len(patterns) + len(sources) + 1
+    room: list[dict[int, float]] = [{} for _ in range(end + 1)]
 
-    def arc(a, b, room: float, cost: float) -> None:
-        graph.setdefault(a, []).append([b, room, cost, len(graph.setdefault(b, []))])
-        graph[b].append([a, 0.0, -cost, len(graph[a]) - 1])
+    def arc(a: int, b: int, most: float) -> None:
+        room[a][b] = room[a].get(b, 0.0) + most
+        room[b].setdefault(a, 0.0)
 
-    for p, c in capacity.items():
-        for r in range(repeats):
-            arc("in", ("p", p), c, float(r))
+    for i, p in enumerate(patterns):
         for s in members[p]:
-            arc(("p", p), ("s", s), float("inf"), 0.0)
+            arc(i, place[s], float("inf"))
     for s, q in quota.items():
-        arc(("s", s), "out", q, 0.0)
-    graph.setdefault("in", [])
-    graph.setdefault("out", [])
-    potential = dict.fromkeys(graph, 0.0)
+        arc(place[s], end, q)
     tiny = 1e-9 * max(1.0, sum(quota.values()))
+    for _ in range(repeats):
+        for i, p in enumerate(patterns):
+            arc(origin, i, capacity[p])
+        _extend(room, origin, end, tiny)
+    return {(p, s): used for i, p in enumerate(patterns) for s in members[p] if (used := room[place[s]][i]) > tiny}
+
+
+def _extend(room: list[dict[int, float]], origin: int, end: int, tiny: float) -> None:
+    """Blocking flows along shortest paths until none is left."""
     while True:
-        far = {"in": 0.0}
-        came: dict[object, tuple] = {}
-        heap: list = [(0.0, 0, "in")]
-        order = 1
-        while heap:
-            d, _, a = heapq.heappop(heap)
-            if d > far[a] + 1e-12:
+        level = {origin: 0}
+        queue = deque([origin])
+        while queue:
+            a = queue.popleft()
+            for b, r in room[a].items():
+                if r > tiny and b not in level:
+                    level[b] = level[a] + 1
+                    queue.append(b)
+        if end not in level:
+            return
+        left = {a: iter(list(room[a])) for a in level}
+        ahead = {a: next(left[a], None) for a in level}
+        path = [origin]
+        while path:
+            a = path[-1]
+            if a == end:
+                push = min(room[x][y] for x, y in zip(path, path[1:], strict=False))
+                for x, y in zip(path, path[1:], strict=False):
+                    room[x][y] -= push
+                    room[y][x] += push
+                # go on from the first arc that is full now
+                path = path[:1 + next(i for i, (x, y) in enumerate(zip(path, path[1:], strict=False)) if room[x][y] <= tiny)]
                 continue
-            for i, (b, room, cost, _) in enumerate(graph[a]):
-                if room > tiny and (n := d + cost + potential[a] - potential[b]) < far.get(b, float("inf")) - 1e-12:
-                    far[b] = n
-                    came[b] = (a, i)
-                    heapq.heappush(heap, (n, order, b))
-                    order += 1
-        if "out" not in far:
-            break
-        for a, d in far.items():
-            potential[a] += d
-        push, b = float("inf"), "out"
-        while b != "in":
-            a, i = came[b]
-            push = min(push, graph[a][i][1])
-            b = a
-        b = "out"
-        while b != "in":
-            a, i = came[b]
-            graph[a][i][1] -= push
-            graph[b][graph[a][i][3]][1] += push
-            b = a
-    return {(a[1], e[0][1]): graph[e[0]][e[3]][1] for a in graph if isinstance(a, tuple) and a[0] == "p"
-            for e in graph[a] if isinstance(e[0], tuple) and graph[e[0]][e[3]][1] > tiny}
-
+            b = ahead[a]
+            if b is None:
+                path.pop()
+                if path:
+                    ahead[path[-1]] = next(left[path[-1]], None)
+            elif level.get(b) == level[a] + 1 and room[a][b] > tiny:
+                path.append(b)
+            else:
+                ahead[a] = next(left[a], None)
 
 
 def mix_sources(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), cap: int = 3, seed: str = "mix",
@@ -143,22 +151,30 @@ def _fill(sized: DataFrame, weights: Sequence[float], cap: int) -> DataFrame:
     cycle = [float(weights[i % len(weights)]) for i in range(len(names))]
     quota = dict(zip(names, capped_targets([held[s] for s in names], cycle, cap), strict=True))
     flow = min_cost_flow(capacity, members, quota, cap)
+    all_given = dict.fromkeys(capacity, 0.0)
+    for (p, _), v in flow.items():
+        all_given[p] += v
     plan = []
     for p, c in capacity.items():
-        given = sum(v for (q, _), v in flow.items() if q == p)
+        given = all_given[p]
         if len(members[p]) == 1 and abs(given - quota[members[p][0]]) <= 1e-6 * max(1.0, given):
             given = quota[members[p][0]]  # the whole quota: without the flow's rounding
         full = min(cap, int(given // c)) if c else 0
         plan.append((p, int(c), given, full, given - full * c if full < cap else 0.0))
     plan_df = spark.createDataFrame(plan, "pattern string, source_size long, target double, full int, rest double")
-    # running totals in two steps: over the buckets of a pattern, then inside a bucket
-    bucketed = sized.withColumn("bucket", F.substring("key", 1, BUCKET_DIGITS))
-    sums = bucketed.groupBy("pattern", "bucket").agg(F.sum("size").alias("n"))
-    order = Window.partitionBy("pattern").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    before = sums.select("pattern", "bucket", F.coalesce(F.sum("n").over(order), F.lit(0)).alias("before"))
-    inside = Window.partitionBy("pattern", "bucket").orderBy("key", "doc_id").rowsBetween(Window.unboundedPreceding, -1)
-    placed = (bucketed.join(before, ["pattern", "bucket"])
-              .withColumn("cum", F.col("before") + F.coalesce(F.sum("size").over(inside), F.lit(0)))
+    # running totals level by level: over the coarse buckets of a pattern, the fine ones of each, the rows of each
+    names = [f"b{n}" for n in BUCKET_DIGITS]
+    bucketed = sized.select("*", *[F.substring("key", 1, n).alias(c) for c, n in zip(names, BUCKET_DIGITS, strict=True)])
+    fine = bucketed.groupBy("pattern", *names).agg(F.sum("size").alias("n"))
+    before = None
+    for k, name in enumerate(names):
+        sums = fine.groupBy("pattern", *names[:k + 1]).agg(F.sum("n").alias("n"))
+        order = Window.partitionBy("pattern", *names[:k]).orderBy(name).rowsBetween(Window.unboundedPreceding, -1)
+        own = sums.select("pattern", *names[:k + 1], F.coalesce(F.sum("n").over(order), F.lit(0)).alias(f"s{k}"))
+        before = own if before is None else own.join(before, ["pattern", *names[:k]]).withColumn(f"s{k}", F.col(f"s{k}") + F.col(f"s{k - 1}")).drop(f"s{k - 1}")
+    inside = Window.partitionBy("pattern", *names).orderBy("key", "doc_id").rowsBetween(Window.unboundedPreceding, -1)
+    placed = (bucketed.join(before, ["pattern", *names])
+              .withColumn("cum", F.col(f"s{len(names) - 1}") + F.coalesce(F.sum("size").over(inside), F.lit(0)))
               .join(F.broadcast(plan_df), "pattern"))  # at most MAX_PATTERNS rows
     extra = ((F.col("full") < cap) & (2 * F.col("cum") + F.col("size") <= 2 * F.col("rest"))).cast("int")
     uses = F.when(F.col("size") > 0, F.col("full") + extra).otherwise(F.lit(0))
