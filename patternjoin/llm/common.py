@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator, Sequence
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,14 +19,38 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder the cluster names in spark.checkpoint.dir; a local one only where it is unset."""
+    """The folder the cluster names in spark.checkpoint.dir (or that the caller set on the context).
+
+    Without one this raises: a folder of the driver's machine is out of the executors' reach.
+    """
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
-        named = tempfile.mkdtemp(prefix="patternjoin-")
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        named = tempfile.mkdtemp(prefix="patternjoin-")  # a single process: any folder is shared
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/")
 
 
+def stretches(sizes: Sequence[int], most: int) -> Iterator[tuple[int, int]]:
+    """Consecutive ranges of about `most` in sum; what is larger alone stands alone."""
+    lo, held = 0, 0
+    for i, n in enumerate(sizes):
+        if held and held + n > most:
+            yield lo, i
+            lo, held = i, 0
+        held += n
+    if lo < len(sizes):
+        yield lo, len(sizes)
+
+
+def laid(batch: pa.RecordBatch, column: int, most: int) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch with about `most` characters of text in one column."""
+    sizes = [len(t.as_py() or "") for t in batch.column(column)]
+    for lo, hi in stretches(sizes, most):
+        yield batch.slice(lo, hi - lo)
+
+
 def cut(df: DataFrame, label: str = "cut", partition_by: str | None = None) -> DataFrame:
     """Write df once to the shared folder and read it back: lineage ends here and
     any executor can be lost afterwards without recomputing what came before."""

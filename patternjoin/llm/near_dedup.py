@@ -19,48 +19,43 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, forget
+from .common import cut, forget, laid, stretches
 from .components import connected_components
 from .suffix_dedup import key_filter
+from .words import MIX, MULT, word_digests
 
 K = 64
 #: Overlap that a pair of sketches of K values must show. For similarity 0.8 the overlap is
 #: binomial(64, 0.8) or more; below 34 it falls with a probability of about 3e-7.
 MIN_OVERLAP = 34
 
-_MIX = np.uint64(0x9E3779B97F4A7C15)
-_MULT = np.uint64(0xD6E8FEB86659FD93)
+#: Characters of text whose shingles are laid out at once; a longer text is taken alone.
+LAID_CHARS = 500_000
 
-
-class _WordHash(dict):
-    """word -> 64-bit hash, bounded so that a worker's memory does not follow the vocabulary."""
-
-    LIMIT = 300_000
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= self.LIMIT:
-            self.clear()
-        value = self[word] = xxhash.xxh3_64_intdigest(word)
-        return value
+def _chained(h: np.ndarray, span: int) -> np.ndarray:
+    """Digest of the `span` words from each place."""
+    acc = np.full(len(h) - span + 1, span, np.uint64)
+    for i in range(span):
+        acc = (acc ^ h[i:len(h) - span + 1 + i]) * MIX
+        acc ^= acc >> np.uint64(29)
+    acc *= MULT
+    acc ^= acc >> np.uint64(32)
+    return acc >> np.uint64(1)
 
 
-_words = _WordHash()
+def shingle_sets(texts: list[str | None], width: int) -> list[np.ndarray]:
+    """Sorted distinct 63-bit shingle digests of each text; empty for null or wordless texts."""
+    out: list[np.ndarray] = []
+    for lo, hi in stretches([len(t or "") for t in texts], LAID_CHARS):
+        h, begin = word_digests([(t or "").encode("utf-8", "surrogatepass") for t in texts[lo:hi]])
+        all_ = _chained(h, width) if len(h) >= width else None
+        for s, e in zip(begin.tolist(), [*begin[1:].tolist(), len(h)], strict=True):
+            out.append(np.unique(all_[s:e - width + 1] if e - s >= width else _chained(h[s:e], e - s)) if e > s else h[:0])
+    return out
 
 
 def shingle_set(text: str | None, width: int) -> np.ndarray:
-    """Sorted distinct 63-bit shingle hashes of a text; empty for null or wordless texts."""
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    if not words:
-        return np.empty(0, np.uint64)
-    h = np.fromiter(map(_words.__getitem__, words), np.uint64, len(words))
-    span = min(width, len(h))
-    acc = np.full(len(h) - span + 1, span, np.uint64)
-    for i in range(span):
-        acc = (acc ^ h[i:len(h) - span + 1 + i]) * _MIX
-        acc ^= acc >> np.uint64(29)
-    acc *= _MULT
-    acc ^= acc >> np.uint64(32)
-    return np.unique(acc >> np.uint64(1))
+    return shingle_sets([text], width)[0]
 
 
 def _sketches(width: int, k: int):
@@ -69,34 +64,34 @@ def _sketches(width: int, k: int):
 
     def run(batches):
         for batch in batches:
-            ns, fps, sks = [], [], []
-            for text in batch.column(1):
-                s = shingle_set(text.as_py(), width)
-                ns.append(len(s))
-                fps.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
-                sks.append(s[:k].astype(np.int64))
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(ns, pa.int64()), pa.array(fps, pa.binary()),
-                 pa.array(sks, pa.list_(pa.int64()))], schema=schema)
+            for part in laid(batch, 1, LAID_CHARS):
+                ns, fps, sks = [], [], []
+                for s in shingle_sets(part.column(1).to_pylist(), width):
+                    ns.append(len(s))
+                    fps.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
+                    sks.append(s[:k].astype(np.int64))
+                yield pa.RecordBatch.from_arrays(
+                    [part.column(0), pa.array(ns, pa.int64()), pa.array(fps, pa.binary()),
+                     pa.array(sks, pa.list_(pa.int64()))], schema=schema)
 
     return run
 
 
 def _verify(width: int, num: int, den: int):
     def run(batches):
-        last_id, last = None, None
         for batch in batches:
-            keep = []
-            for i, (a, ta, tb) in enumerate(zip(batch.column(0), batch.column(2), batch.column(3), strict=True)):
-                if a.as_py() != last_id:
-                    last_id, last = a.as_py(), shingle_set(ta.as_py(), width)
-                other = shingle_set(tb.as_py(), width)
-                common = len(np.intersect1d(last, other, assume_unique=True))
-                if den * common >= num * (len(last) + len(other) - common):
-                    keep.append(i)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0).take(pa.array(keep, pa.int64())), batch.column(1).take(pa.array(keep, pa.int64()))],
-                names=["a", "b"])
+            for part in laid(batch, 3, LAID_CHARS):
+                ids = part.column(0).to_pylist()
+                turn = [i for i, x in enumerate(ids) if not i or x != ids[i - 1]]
+                own = shingle_sets(part.column(2).take(pa.array(turn, pa.int64())).to_pylist(), width)
+                keep, at = [], -1
+                for i, other in enumerate(shingle_sets(part.column(3).to_pylist(), width)):
+                    if at + 1 < len(turn) and turn[at + 1] == i:
+                        at += 1
+                    common = len(np.intersect1d(own[at], other, assume_unique=True))
+                    if den * common >= num * (len(own[at]) + len(other) - common):
+                        keep.append(i)
+                yield part.select([0, 1]).take(pa.array(keep, pa.int64())).rename_columns(["a", "b"])
 
     return run
 
@@ -111,7 +106,9 @@ def _texts_of(texts: DataFrame, wanted: DataFrame) -> DataFrame:
             yield batch.filter(pa.array(known.value.holds(batch.column(0).to_numpy())))
 
     near = texts.where("rid is not null").select("rid", "text").mapInArrow(may_be_wanted, "rid long, text string")
-    return cut(near.join(wanted, "rid", "left_semi"), "near-texts")
+    # repeated rows of an id and a text are one text
+    found = near.join(wanted, "rid", "left_semi").groupBy("rid", F.xxhash64("text").alias("t")).agg(F.first("text").alias("text"))
+    return cut(found.drop("t"), "near-texts")
 
 
 def _linked(pairs: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num: int, den: int,
@@ -203,7 +200,9 @@ def _in_blocks(members: DataFrame, weight, run, schema: str) -> DataFrame:
                         F.explode(span("query_blocks")).alias("qb"))
     asking = rows.where("comp <> main").select(*kept, F.lit(True).alias("asks"), F.explode(span("cand_blocks")).alias("cb"),
                                                (slot % F.col("query_blocks")).cast("int").alias("qb"))
-    return cands.unionByName(asking).groupBy("p", "cb", "qb").applyInArrow(run, schema).distinct()
+    # dealt by pair of blocks: without this the groups would stay where the join on p has put them, a hot one in one task
+    dealt = cands.unionByName(asking).repartition("p", "cb", "qb")
+    return dealt.groupBy("p", "cb", "qb").applyInArrow(run, schema).distinct()
 
 
 def _across(groups: DataFrame, comp: DataFrame, reps: DataFrame, texts: DataFrame, width: int, num: int, den: int,
@@ -230,9 +229,9 @@ def _across(groups: DataFrame, comp: DataFrame, reps: DataFrame, texts: DataFram
 
     def set_of(batches):
         for batch in batches:
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array([shingle_set(t.as_py(), width).tobytes() for t in batch.column(1)], pa.binary())],
-                names=["rid", "members"])
+            for part in laid(batch, 1, LAID_CHARS):
+                raw = [s.tobytes() for s in shingle_sets(part.column(1).to_pylist(), width)]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(raw, pa.binary())], names=["rid", "members"])
 
     sets = _texts_of(texts, hopeful.select("rid").distinct()).select("rid", "text").mapInArrow(
         set_of, "rid long, members binary")
@@ -253,7 +252,7 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str
               "near-sig")
     reps = cut(sig.where("n_shingles > 0 and doc_id is not null").groupBy("fp").agg(
         F.min("doc_id").alias("rid"), F.first("n_shingles").alias("n"), F.first("sk").alias("sk")), "near-reps")
-    # a doc_id that is repeated with different texts stands for several classes: the smallest set speaks for it
+    # a doc_id that is repeated with different texts stands for all their sets: any of them may link it
     texts = named.select(F.col("doc_id").alias("rid"), "text")
 
     values = reps.select("rid", "n", F.explode("sk").alias("v"))

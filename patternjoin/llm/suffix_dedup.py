@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, forget
+from .common import cut, forget, laid
 
 LENGTH = 200
 GRAM = 32
@@ -34,7 +34,11 @@ SORT_BYTES = 300_000
 SEGMENT_WINDOWS = 500_000
 #: Bits of the filter that keeps unique anchors away from the join: 8 a key within these limits.
 FILTER_BITS = (1 << 20, 1 << 28)
-LAID_BYTES = 1_500_000
+LAID_BYTES = 500_000
+#: A context with more than this fraction of all hits counts as hot and is dealt over as many parts.
+HOT = 256
+#: Keys that one task puts into the filter, where there are fewer than 256 tasks' worth.
+SEGMENT_KEYS = 1_000_000
 
 _B = np.uint64(0x9E3779B97F4A7C15)
 
@@ -100,12 +104,7 @@ def anchors(raws: list[bytes], length: int = LENGTH):
 
 def _laid(batches, column: int):
     for batch in batches:
-        lo, held = 0, 0
-        for i, t in enumerate(batch.column(column)):
-            held += len(t.as_py() or "")
-            if held >= LAID_BYTES or i == batch.num_rows - 1:
-                yield batch.slice(lo, i + 1 - lo)
-                lo, held = i + 1, 0
+        yield from laid(batch, column, LAID_BYTES)
 
 
 def _keys(raws: list[bytes]) -> np.ndarray:
@@ -131,47 +130,55 @@ def _anchor_rows(length: int):
 
 
 class KeyFilter:
-    """One-hash Bloom filter over 64-bit keys: may let others through, never stops a member."""
+    """One-hash Bloom filter over 64-bit keys in 256 segments: may let others through, never stops a member."""
 
-    def __init__(self, bits: int, cells: np.ndarray):
-        self.shift = np.uint64(64 - (bits.bit_length() - 1))
-        self.cells = cells
+    def __init__(self, bits: int, cells: np.ndarray | None):
+        self.bits, self.cells = bits, cells
 
     @staticmethod
-    def place(keys: np.ndarray, bits: int) -> np.ndarray:
+    def inner(keys: np.ndarray, bits: int) -> np.ndarray:
+        """Place of a key inside its segment, which its lowest byte names."""
         with np.errstate(over="ignore"):
-            return (keys.view(np.uint64) * _B) >> np.uint64(64 - (bits.bit_length() - 1))
+            return (keys.view(np.uint64) * _B) >> np.uint64(64 - (bits.bit_length() - 1) + 8)
 
     def holds(self, keys: np.ndarray) -> np.ndarray:
-        at = self.place(np.ascontiguousarray(keys), 1 << (64 - int(self.shift)))
+        if self.cells is None:
+            return np.ones(len(keys), bool)
+        keys = np.ascontiguousarray(keys)
+        at = (keys.view(np.uint64) & np.uint64(255)) * np.uint64(self.bits // 256) + self.inner(keys, self.bits)
         return (self.cells[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & np.uint8(1) > 0
 
 
 def key_filter(keys: DataFrame, column: str, n: int) -> KeyFilter:
-    """Built by the executors segment by segment; at most FILTER_BITS[1] bits reach the driver."""
+    """Built by the executors, each segment in one task, so FILTER_BITS[1] bits at most reach the driver in all.
+
+    Keys that would fill such a filter get none: all of them then go through the join that follows.
+    """
     bits = FILTER_BITS[0]
     while bits < min(8 * n, FILTER_BITS[1]):
         bits *= 2
-    segment_bits = bits // 256
+    if 2 * n > bits:
+        return KeyFilter(bits, None)
+    size = bits // 256 // 8
 
     def run(batches):
         own: dict[int, np.ndarray] = {}
         for batch in batches:
-            at = KeyFilter.place(batch.column(0).to_numpy(), bits)
-            segment = (at // np.uint64(segment_bits)).astype(np.int64)
+            k = np.ascontiguousarray(batch.column(0).to_numpy())
+            segment = k & 255
+            inner = KeyFilter.inner(k, bits)
             for s in np.unique(segment).tolist():
-                cells = own.setdefault(s, np.zeros(segment_bits // 8, np.uint8))
-                inner = at[segment == s] % np.uint64(segment_bits)
-                np.bitwise_or.at(cells, (inner >> np.uint64(3)).astype(np.int64),
-                                 np.uint8(1) << (inner & np.uint64(7)).astype(np.uint8))
+                cells = own.setdefault(s, np.zeros(size, np.uint8))
+                at = inner[segment == s]
+                np.bitwise_or.at(cells, (at >> np.uint64(3)).astype(np.int64), np.uint8(1) << (at & np.uint64(7)).astype(np.uint8))
         for s, cells in own.items():
             yield pa.RecordBatch.from_arrays([pa.array([s]), pa.array([cells.tobytes()], pa.binary())],
                                              names=["segment", "cells"])
 
-    # few partitions, so that a segment is not sent once for each of very many tasks
-    parts = keys.select(F.col(column).alias("k")).coalesce(16).mapInArrow(run, "segment long, cells binary")
+    named = keys.select(F.col(column).alias("k")).where("k is not null")
+    parts = named.repartition(max(1, min(256, -(-n // SEGMENT_KEYS))), F.col("k").bitwiseAND(F.lit(255))).mapInArrow(
+        run, "segment long, cells binary")
     cells = np.zeros(bits // 8, np.uint8)
-    size = segment_bits // 8
     for row in parts.toLocalIterator():
         lo = row["segment"] * size
         cells[lo:lo + size] |= np.frombuffer(row["cells"], np.uint8)
@@ -329,6 +336,21 @@ def _between_chunks(length: int):
     return run
 
 
+def _repeated(hits: DataFrame, kinds: DataFrame) -> DataFrame:
+    """(d1, d2, run) of the hits whose context occurs more than once.
+
+    A context that holds more than a HOT-th of all hits is dealt over that many salts; there are fewer than
+    HOT such contexts, whatever the data, so their list can be broadcast.
+    """
+    total = kinds.agg(F.coalesce(F.sum("c"), F.lit(0))).first()[0]
+    hot = F.broadcast(kinds.where(F.col("c") * HOT > total).select("h", "ctx", F.lit(HOT).alias("salts")))
+    salts = F.coalesce("salts", F.lit(1))
+    dealt = hits.join(hot, ["h", "ctx"], "left").withColumn("salt", F.pmod(F.xxhash64("d1", "d2", "run"), salts).cast("int"))
+    asked = kinds.select("h", "ctx").join(hot, ["h", "ctx"], "left").select(
+        "h", "ctx", F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
+    return dealt.join(asked, ["h", "ctx", "salt"], "left_semi").select("d1", "d2", "run")
+
+
 def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_id", text_column: str = "text",
                    keep_text: bool = False, carry: tuple[str, ...] = ()) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256[, kept_text][, carried]), one row for each input row.
@@ -410,8 +432,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, id_column: str = "doc_
                                    "d1 long, d2 long, lo long, hi long, segment long, packed binary"), "suffix-sorted")
     across = sorted_.where("segment is not null").select("segment", "packed").groupBy("segment").applyInArrow(
         _between_chunks(length), "d1 long, d2 long, lo long, hi long")
-    whole = hits.where("not mixed").select("d1", "d2", "run").unionByName(
-        hits.join(kinds.where("c > 1").select("h", "ctx"), ["h", "ctx"], "left_semi").where("mixed").select("d1", "d2", "run"))
+    whole = hits.where("not mixed").select("d1", "d2", "run").unionByName(_repeated(hits.where("mixed"), kinds.where("c > 1")))
     first = F.floor(F.col("run") / 1024)
     spans = (whole.select("d1", "d2", first.alias("lo"), (first + F.col("run") % 1024 - 1 + length).alias("hi"))
              .unionByName(sorted_.where("segment is null").select("d1", "d2", "lo", "hi")).unionByName(across).distinct())
