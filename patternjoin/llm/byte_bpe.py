@@ -21,8 +21,12 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Pieces a worker keeps; beyond it new ones last for one block, so memory does not follow the corpus.
-CACHED_PIECES = 500_000
+from .common import laid
+
+#: Pieces and pair ranks a task keeps; beyond it new ones last for one block, so memory does not follow the corpus.
+CACHED_PIECES, CACHED_PAIRS = 150_000, 300_000
+#: Characters of text, and distinct pieces, that are laid out at once.
+BLOCK_CHARS, BLOCK_PIECES = 1_000_000, 20_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -51,7 +55,7 @@ class MergeReplay:
             return self.pair_rank[key]
         except KeyError:
             found = self.ranks.get(self.token_bytes[left] + self.token_bytes[right], -1)
-            if len(self.pair_rank) > 1_000_000:
+            if len(self.pair_rank) > CACHED_PAIRS:
                 self.pair_rank.clear()
             self.pair_rank[key] = found
             return found
@@ -147,8 +151,8 @@ class MergeReplay:
         cache = self.pieces
         fresh = list(set(chain.from_iterable(split)).difference(cache))
         if fresh:
-            for lo in range(0, len(fresh), 20_000):
-                part = fresh[lo:lo + 20_000]
+            for lo in range(0, len(fresh), BLOCK_PIECES):
+                part = fresh[lo:lo + BLOCK_PIECES]
                 cache.update(zip(part, self.replay(part), strict=True))
         get = cache.__getitem__
         out = [list(chain.from_iterable(map(get, pieces))) for pieces in split]
@@ -166,19 +170,6 @@ def _encoder(path: str, pattern: str) -> MergeReplay:
     return MergeReplay(read_ranks(path), pattern)
 
 
-def _blocks(batches, limit: int = 4_000_000):
-    """Slices of the batches with about `limit` characters of text in their second column."""
-    for batch in batches:
-        lo, held = 0, 0
-        for i, text in enumerate(batch.column(1)):
-            held += len(text.as_py() or "")
-            if held >= limit:
-                yield batch.slice(lo, i + 1 - lo)
-                lo, held = i + 1, 0
-        if lo < batch.num_rows:
-            yield batch.slice(lo)
-
-
 def byte_bpe(docs: DataFrame, rank_file: str, pattern: str, id_column: str = "doc_id", text_column: str = "text",
              keep_ids: bool = True) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256, decoded_ok[, token_ids]), one row for each input row.
@@ -187,26 +178,34 @@ def byte_bpe(docs: DataFrame, rank_file: str, pattern: str, id_column: str = "do
     empty: no tokens, digests of nothing. Null ids, repeated rows and ties pass through as they
     are; only the two named columns are read; an empty table gives no rows.
     """
+    def encoded(bpe: MergeReplay, block: pa.RecordBatch) -> pa.RecordBatch:
+        texts = block.column(1).to_pylist()
+        count, ids_sha, raw_sha, same, kept = [], [], [], [], []
+        for text, ids in zip(texts, bpe.encode_all(texts), strict=True):
+            raw = bpe.decode(ids)
+            count.append(len(ids))
+            ids_sha.append(hashlib.sha256(" ".join(map(bpe.digits.__getitem__, ids)).encode()).hexdigest())
+            raw_sha.append(hashlib.sha256(raw).hexdigest())
+            same.append(raw == (text or "").encode("utf-8", "surrogatepass"))
+            if keep_ids:
+                kept.append(np.array(ids, np.int32))
+        columns = [block.column(0), pa.array(count, pa.int64()), pa.array(ids_sha, pa.string()),
+                   pa.array(raw_sha, pa.string()), pa.array(same, pa.bool_())]
+        names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "decoded_ok"]
+        if keep_ids:
+            columns.append(pa.array(kept, pa.list_(pa.int32())))
+            names.append("token_ids")
+        return pa.RecordBatch.from_arrays(columns, names=names)
+
     def run(batches):
         bpe = _encoder(rank_file, pattern)
-        for block in _blocks(batches):
-            texts = block.column(1).to_pylist()
-            count, ids_sha, raw_sha, same, kept = [], [], [], [], []
-            for text, ids in zip(texts, bpe.encode_all(texts), strict=True):
-                raw = bpe.decode(ids)
-                count.append(len(ids))
-                ids_sha.append(hashlib.sha256(" ".join(map(bpe.digits.__getitem__, ids)).encode()).hexdigest())
-                raw_sha.append(hashlib.sha256(raw).hexdigest())
-                same.append(raw == (text or "").encode("utf-8", "surrogatepass"))
-                if keep_ids:
-                    kept.append(np.array(ids, np.int32))
-            columns = [block.column(0), pa.array(count, pa.int64()), pa.array(ids_sha, pa.string()),
-                       pa.array(raw_sha, pa.string()), pa.array(same, pa.bool_())]
-            names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "decoded_ok"]
-            if keep_ids:
-                columns.append(pa.array(kept, pa.list_(pa.int32())))
-                names.append("token_ids")
-            yield pa.RecordBatch.from_arrays(columns, names=names)
+        try:
+            for batch in batches:
+                for block in laid(batch, 1, BLOCK_CHARS):
+                    yield encoded(bpe, block)
+        finally:  # a worker goes on to other tasks and stages: what this one has learnt goes
+            bpe.pieces.clear()
+            bpe.pair_rank.clear()
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, decoded_ok boolean"
     named = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.col(text_column).cast("string").alias("text"))

@@ -13,6 +13,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import laid
+
 GRAM = 4
 SLOT_BITS = 20
 #: Documents per language that the filter is fitted on, chosen by a hash of their id.
@@ -22,6 +24,8 @@ GRAMS_PER_LANGUAGE = 60_000
 #: An n-gram belongs to every language where it is at least this fraction as frequent as where it is most frequent.
 RELATIVE_RATE = 0.25
 MAX_LANGUAGES = 64
+#: Characters of text that are laid out at once; a longer text is taken alone.
+LAID_CHARS = 500_000
 
 _letter = regex.compile(r"\p{L}").search
 _FACTORS = (np.uint32(0x9E3779B1), np.uint32(0x85EBCA77))
@@ -79,7 +83,7 @@ class LanguageFilter:
             counts[:, i] = np.maximum(0.0, (raw - n * self.false_rate[i]) / (1 - self.false_rate[i]))
         languages, scores = [], []
         for text, row in zip(texts, counts, strict=True):
-            if not self.languages or not text or not _letter(text):
+            if not text or not _letter(text):
                 languages.append("und")
                 scores.append(0.0)
                 continue
@@ -123,16 +127,17 @@ def fit_filter(labelled: DataFrame, sample_docs: int = SAMPLE_DOCS) -> LanguageF
 
         kept = 0
         for batch in batches:
-            texts, langs = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            codes, starts, ends = _laid_out(texts)
-            for language in set(langs):
-                own = [codes[s:e] for s, e, l in zip(starts, ends, langs, strict=True) if l == language]
-                unique, n = np.unique(np.concatenate(own), return_counts=True)
-                held.setdefault(language, []).append((unique, n))
-                kept += len(unique)
-            if kept > 2_000_000:
-                yield from out()
-                kept = 0
+            for part in laid(batch, 0, LAID_CHARS):
+                langs = part.column(1).to_pylist()
+                codes, starts, ends = _laid_out(part.column(0).to_pylist())
+                for language in set(langs):
+                    own = [codes[s:e] for s, e, l in zip(starts, ends, langs, strict=True) if l == language]
+                    unique, n = np.unique(np.concatenate(own), return_counts=True)
+                    held.setdefault(language, []).append((unique, n))
+                    kept += len(unique)
+                if kept > 1_000_000:
+                    yield from out()
+                    kept = 0
         yield from out()
 
     counted = sample.select("text", "lang").mapInArrow(grams, "lang string, gram long, n long").groupBy("lang", "gram").agg(
@@ -158,27 +163,26 @@ def identify(docs: DataFrame, model: LanguageFilter, text_column: str = "text",
     """`keep` columns plus prediction and score, one row for each input row.
 
     Null texts and texts without a letter are `und` with score 0; a text with letters but no known
-    n-gram gets the most frequent language with score 0. Ties go to the language that sorts first.
+    n-gram gets the most frequent language with score 0, and a null one where the model has learnt
+    none. Ties go to the language that sorts first.
     Very long texts are taken whole; an empty table gives no rows.
     """
     blob = docs.sparkSession.sparkContext.broadcast(model)  # one mask per slot: 1 to 8 MB, whatever the data
 
     def run(batches):
         for batch in batches:
-            texts = batch.column(batch.num_columns - 1).to_pylist()
             languages, scores = [], []
-            lo, held = 0, 0
-            for i, t in enumerate(texts):
-                held += len(t or "")
-                if held > 2_000_000 or i == len(texts) - 1:
-                    a, b = blob.value.decide(texts[lo:i + 1])
-                    languages += a
-                    scores += b
-                    lo, held = i + 1, 0
+            for part in laid(batch, batch.num_columns - 1, LAID_CHARS):
+                a, b = blob.value.decide(part.column(part.num_columns - 1).to_pylist())
+                languages += a
+                scores += b
             yield pa.RecordBatch.from_arrays(
                 [*batch.columns[:-1], pa.array(languages, pa.string()), pa.array(scores, pa.float64())],
                 names=[*batch.schema.names[:-1], language_column, score_column])
 
-    read = docs.select(*keep, F.col(text_column).cast("string").alias("__text"))
-    schema = read.drop("__text").schema.add(language_column, "string").add(score_column, "double")
-    return read.mapInArrow(run, schema)
+    kept = docs.select(*keep)
+    text = "text"
+    while text.lower() in {c.lower() for c in kept.columns}:  # its own name, whatever else is kept
+        text += "_"
+    schema = kept.schema.add(language_column, "string").add(score_column, "double")
+    return docs.select(*keep, F.col(text_column).cast("string").alias(text)).mapInArrow(run, schema)
