@@ -50,7 +50,7 @@ class Intervals:
 
 
 class Node:
-    __slots__ = ("pattern", "gaps", "children", "star", "passes", "complete")
+    __slots__ = ("pattern", "gaps", "children", "star", "passes", "complete", "counts", "total")
 
     def __init__(self, pattern: tuple):
         self.pattern = pattern
@@ -59,6 +59,8 @@ class Node:
         self.star: Node | None = None
         self.passes = 0
         self.complete = False
+        self.counts: dict[int, int] = {}  # what the finished branches below a point of the ledger contribute; 1 where absent
+        self.total = 0  # of a finished node: the sum over its points
 
 
 class GapTree:
@@ -322,37 +324,125 @@ def _cut(tree: GapTree, meet: tuple, point: list[int], depth: int, low: int, c:
     return depth - 1, False
 
 
-def gap_count(atoms, order: tuple[str, ...], counters: Counters | None = None) -> int:
-    """Counts without listing: a finished sub-search is remembered under the values it depends on."""
-    ordered = by_order(atoms, order)
-    if any(not rows for _, rows in ordered):
-        return 0
-    c = counters if counters is not None else Counters()
-    from .intersect import leap
-
-    tries = [Trie(rows) for _, rows in ordered]
-    uses = [[i for i, (names, _) in enumerate(ordered) if v in names] for v in order]
-    # the values before k that an atom with variables from k on has as well
-    needed = [[j for j in range(k) if any(order[j] in names and any(v in names for v in order[k:]) for names, _ in ordered)] for k in range(len(order) + 1)]
-    memo: dict[tuple, int] = {}
-    point: list[int] = [0] * len(order)
-
-    def down(k: int, at: list[Trie]) -> int:
-        if k == len(order):
-            return 1
-        key = (k, *[point[j] for j in needed[k]])
-        if key in memo:
+class _PointCounter:
+    """Counts over nested elimination orders: a number for every point of a ledger instead of its branches.
+
+    The variables form a tree (a variable hangs on the last earlier one it shares an atom with). A node's
+    free points are searched once, for the first prefix that reaches it; the sum of their numbers is then
+    multiplied into the point its last constant stands for, which is all that the prefixes after it see.
+    """
+
+    def __init__(self, ordered, order: tuple[str, ...], c: Counters):
+        self.c, self.tree, self.n = c, GapTree(), len(order)
+        self.tries = [Trie(rows) for _, rows in ordered]
+        self.uses = [[i for i, (names, _) in enumerate(ordered) if v in names] for v in order]
+        self.places = [[order.index(v) for v in names] for names, _ in ordered]
+        self.above = [sorted({q for i in self.uses[k] for q in self.places[i] if q < k}) for k in range(self.n)]
+        self.below = [[m for m in range(k + 1, self.n) if self.above[m] and self.above[m][-1] == k] for k in range(self.n)]
+        self.roots = [k for k in range(self.n) if not self.above[k]]
+        self.low = min((v for _, rows in ordered for r in rows for v in r), default=0)
+        self.point = [0] * self.n
+
+    def pattern(self, fixed: list[int], depth: int) -> tuple:
+        return tuple(self.point[j] if j in fixed else None for j in range(depth))
+
+    def chain(self, k: int) -> list[Node]:
+        """Nodes over variable k whose constants the point has, all of them on variables that k meets."""
+        level = [self.tree.root]
+        for j in range(k):
+            level = [x for m in level for x in (m.children.get(self.point[j]) if j in self.above[k] else None, m.star) if x is not None]
+        return level
+
+    def solve(self, k: int, at: list[Trie]) -> tuple[Node, dict[int, int] | None]:
+        """The finished node of variable k under the point, and the number of each of its points; None if it was finished before."""
+        c, pattern = self.c, self.pattern(self.above[k], k)
+        node = self.tree.at(pattern) or Node(pattern)
+        if node.complete:
             c.complete_hits += 1
-            return memo[key]
-        total = 0
-        for value in leap([at[i].values for i in uses[k]]):
+            return node, None
+        x, live = self.low, []
+        while True:
+            level, before = [m for m in self.chain(k) if m.gaps.lo], x
+            while True:
+                turn = x
+                for m in level:
+                    c.free_value_calls += 1
+                    x = m.gaps.free_from(x)
+                if x == turn or x >= INF:
+                    break
+            if x > before and len(level) > 1:
+                node.gaps.insert(before - 1, x)
+            if x >= INF:
+                break
+            missing = False
+            for i in self.uses[k]:
+                c.seeks += 1
+                values = at[i].values
+                p = bisect_left(values, x)
+                if p == len(values) or values[p] != x:
+                    missing = True
+                    c.boxes += 1
+                    own = [q for q in self.places[i] if q < k]
+                    c.merges += self.tree.insert(self.pattern(own, k), values[p - 1] if p else -INF, values[p] if p < len(values) else INF)
+            if missing:
+                continue
             c.candidates += 1
-            point[k] = value
-            below = list(at)
-            for i in uses[k]:
-                below[i] = at[i].child(value)
-            total += down(k + 1, below)
-        memo[key] = total
-        return total
-
-    return down(0, tries)
+            self.point[k] = x
+            if self.branches(k, x, at):
+                live.append(x)
+            x += 1
+        level = self.chain(k)
+        numbers = {}
+        for x in live:
+            number = 1
+            for m in level:
+                number *= m.counts.get(x, 1)
+            numbers[x] = number
+        node.complete, node.total = True, sum(numbers.values())
+        c.peak_nodes = max(c.peak_nodes, self.tree.nodes)
+        return node, numbers
+
+    def branches(self, k: int, x: int, at: list[Trie]) -> bool:
+        """Solve what hangs on variable k at x; False, and x is ruled out, if some branch is empty."""
+        down = list(at)
+        for i in self.uses[k]:
+            down[i] = at[i].child(x)
+        for m in self.below[k]:
+            node, numbers = self.solve(m, down)
+            first = self.tree.at(self.pattern([j for j in self.above[m] if j < k], k))  # where the edge labelled x starts
+            if not node.total:
+                self.c.cuts += 1
+                first.gaps.insert(x - 1, x + 1)
+                return False
+            if numbers is not None:
+                first.counts[x] = first.counts.get(x, 1) * node.total
+        return True
+
+
+def gap_counts(atoms, order: tuple[str, ...], counters: Counters | None = None) -> dict[int, int]:
+    """value of the first variable -> number of bindings, without listing any; for nested elimination orders."""
+    ordered = by_order(atoms, order)
+    c = counters if counters is not None else Counters()
+    if any(not rows for _, rows in ordered):
+        return {}
+    counter = _PointCounter(ordered, order, c)
+    found: dict[int, int] = {}
+    rest = 1
+    for r in counter.roots:
+        numbers = counter.solve(r, counter.tries)[1]
+        if r == 0:
+            found = numbers
+        else:
+            rest *= sum(numbers.values())
+    c.outputs += sum(found.values()) * rest
+    return {x: n * rest for x, n in found.items()} if rest else {}
+
+
+def gap_count(atoms, order: tuple[str, ...], counters: Counters | None = None) -> int:
+    """The number of bindings: from point counts where the order is nested, else by listing them."""
+    from ..query.model import JoinQuery, is_neo
+
+    q = JoinQuery.of(*[("r", *names) for names, _ in atoms])
+    if is_neo(q, order):
+        return sum(gap_counts(atoms, order, counters).values())
+    return sum(1 for _ in gap_join(atoms, order, None, Options(), counters))

@@ -7,8 +7,8 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..query.model import JoinQuery, join_tree, split_core
-from .bind import Relations, bind, count_product, finish
+from ..query.model import JoinQuery, elimination_depth, join_tree, nested_elimination_orders, split_core
+from .bind import Relations, bind, checkpointed, count_product, finish
 from .prefix import prefix_join
 
 
@@ -66,31 +66,71 @@ def message_count(q: JoinQuery, rels: Relations, root: str | None = None, kind:
     return df.agg(F.coalesce(F.sum("__w"), F.lit(0)).cast(kind).alias("cnt"))
 
 
-def message_to(q: JoinQuery, rels: Relations, variable: str, kind: str = "bigint") -> DataFrame:
+def message_to(q: JoinQuery, rels: Relations, variable: str, kind: str = "decimal(38,0)") -> DataFrame:
     """(variable, w): how many bindings of q end in each value of one variable."""
     df, _ = _messages(q, rels, variable, kind)
     return df.groupBy(variable).agg(F.sum("__w").cast(kind).alias("w"))
 
 
+#: Bits of a Bloom filter: one for this many keys at least, at most this many in all, and hashes of a key.
+BLOOM_BITS_A_KEY, BLOOM_MOST_BITS, BLOOM_HASHES = 10, 1 << 24, 3
+
+
+def _bloom_places(columns: list[str], bits: int):
+    return [F.pmod(F.xxhash64(*columns, F.lit(k)), F.lit(bits)) for k in range(BLOOM_HASHES)]
+
+
+def bloom_words(keys: DataFrame, bits: int) -> DataFrame:
+    """One row, one array with all words of the filter: bits are set by aggregation, no key is gathered."""
+    marked = keys.select(F.explode(F.array(*_bloom_places(keys.columns, bits))).alias("p")).select(
+        F.shiftright("p", 6).alias("at"), F.expr("shiftleft(1L, cast(p & 63 as int))").alias("word"))
+    every = keys.sparkSession.range(bits // 64).select(F.col("id").alias("at"), F.lit(0).cast("long").alias("word"))
+    words = marked.unionByName(every).groupBy("at").agg(F.bit_or("word").alias("word"))
+    return words.agg(F.array_sort(F.collect_list(F.struct("at", "word"))).getField("word").alias("bloom"))
+
+
+def bloom_reduce(df: DataFrame, keys: DataFrame) -> DataFrame:
+    """Rows of df that may have a partner among keys (same column names); keys too many for a filter leave df as it is.
+
+    The filter is a scalar subquery, so it is tested where df is scanned, before any exchange.
+    """
+    bits = 1 << 12
+    need = BLOOM_BITS_A_KEY * keys.count()
+    if need > BLOOM_MOST_BITS:
+        return df
+    while bits < need:
+        bits *= 2
+    words = bloom_words(keys, bits).scalar()
+    hit = None
+    for p in _bloom_places(keys.columns, bits):
+        word = words[F.shiftright(p, 6).cast("int")]
+        one = F.call_function("shiftright", word, p.bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1)) == 1
+        hit = one if hit is None else hit & one
+    return df.where(hit)
+
+
 def full_reduce(q: JoinQuery, rels: Relations, bloom: bool = False) -> dict[int, DataFrame]:
     """Atoms without dangling rows: semijoins up the tree, then down.
 
-    With `bloom` the first pass marks the reduced side for a broadcast filter where Spark finds it small.
+    With `bloom` every semijoin of the first pass is preceded by a Bloom filter over the smaller side's keys.
     """
     tree = _rooted(q, None)
     held = {i: bind(a, rels) for i, a in enumerate(q.atoms)}
 
-    def reduced(a: int, b: int) -> DataFrame:
+    def reduced(a: int, b: int, ahead: bool) -> DataFrame:
         shared = [v for v in dict.fromkeys(q.atoms[a].vars) if v in q.atoms[b].vars]
         if not shared:
             return held[a]
         keys = held[b].select(*shared).distinct()
-        return held[a].join(keys.hint("shuffle_hash") if bloom else keys, shared, "left_semi")
+        if not ahead:
+            return held[a].join(keys, shared, "left_semi")
+        keys = checkpointed(keys)  # read twice: by the filter and by the semijoin
+        return bloom_reduce(held[a], keys).join(keys, shared, "left_semi")
 
     for i, parent in tree[:-1]:
-        held[parent] = reduced(parent, i)
+        held[parent] = reduced(parent, i, bloom)
     for i, parent in reversed(tree[:-1]):
-        held[i] = reduced(i, parent)
+        held[i] = reduced(i, parent, False)
     return held
 
 
@@ -109,10 +149,11 @@ def acyclic_join(q: JoinQuery, rels: Relations, mode: str | int = "count", bloom
     return finish(df, mode, q.variables)
 
 
-def hybrid_join(q: JoinQuery, rels: Relations, mode: str | int = "count") -> DataFrame:
+def hybrid_join(q: JoinQuery, rels: Relations, mode: str | int = "count", path: str = "messages") -> DataFrame:
     """Tree part by messages (or reduction), cyclic core by prefix extension, met on the shared variable.
 
-    The core is only evaluated around values that the tree part reaches.
+    The core is only evaluated around values that the tree part reaches. path="gapbox" counts the tree part
+    with the gap-box join's numbers for points. Counts are DECIMAL(38,0).
     """
     tree, core = split_core(q)
     if not tree or not core or len(core) == len(q.atoms):
@@ -124,16 +165,25 @@ def hybrid_join(q: JoinQuery, rels: Relations, mode: str | int = "count") -> Dat
         raise ValueError("tree and core have to meet in one variable")
     x = shared[0]
     order = (x, *[v for v in c.variables if v != x])
-    weights = message_to(t, rels, x).persist()
+    weights = _weights(t, rels, x, path)
     around = JoinQuery((*c.atoms, *JoinQuery.of(("__reached", x)).atoms), c.filters)
     inner = rels | {"__reached": weights.select(x)}
     if mode == "count":
-        k = prefix_join(around, inner, order, by=x)
-        return k.join(weights, x).agg(F.coalesce(F.sum(F.col("cnt") * F.col("w")), F.lit(0)).cast("long").alias("cnt"))
+        k = prefix_join(around, inner, order, by=x).select(x, F.col("cnt").cast("decimal(38,0)").alias("cnt"))
+        return k.join(weights, x).agg(F.coalesce(F.sum((F.col("cnt") * F.col("w")).cast("decimal(38,0)")), F.lit(0)).cast("decimal(38,0)").alias("cnt"))
     rows = prefix_join(around, inner, order, mode="rows")
     return finish(rows.join(acyclic_join(t, rels, "rows"), x), mode, q.variables)
 
 
+def _weights(t: JoinQuery, rels: Relations, x: str, path: str) -> DataFrame:
+    if path == "messages":
+        return message_to(t, rels, x)
+    from .cells import partitioned_gap_join
+
+    order = max((o for o in nested_elimination_orders(t) if o[0] == x), key=lambda o: elimination_depth(t, o))
+    return partitioned_gap_join(t, rels, parts=4, order=order, mode="by", points=True)
+
+
 def decompose(df: DataFrame, key: str) -> dict[str, DataFrame]:
     """One (key, attribute) relation for each column: nulls are simply absent."""
     return {c: df.where(F.col(c).isNotNull()).select(key, c) for c in df.columns if c != key}

@@ -28,6 +28,20 @@ def bind(atom: Atom, rels: Relations) -> DataFrame:
     return df.select(*[F.col(names[atom.vars.index(v)]).alias(v) for v in dict.fromkeys(atom.vars)])
 
 
+def checkpointed(df: DataFrame) -> DataFrame:
+    """A kept intermediate result, in the shared checkpoint folder: nothing stays in executors' memory.
+
+    Where no folder is set (a session of one machine) it is persisted instead.
+    """
+    spark = df.sparkSession
+    if spark.sparkContext.getCheckpointDir() is None:
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None:
+            return df.persist()
+        spark.sparkContext.setCheckpointDir(named)
+    return df.checkpoint(eager=False)
+
+
 def compare(q: JoinQuery, bound: set[str], fresh: set[str] | None = None):
     """The conditions whose variables are all bound (and touch a fresh one), as a Column or None."""
     ready = [F.expr(f"`{a}` {op} `{b}`") for a, op, b in q.filters

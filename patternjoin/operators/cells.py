@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
+from decimal import Decimal
 from itertools import product as cartesian
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..kernel.gap import Counters, Options, gap_join
+from ..kernel.gap import INF, Counters, Options, gap_counts, gap_join
 from ..kernel.intersect import trie_join
-from ..query.model import JoinQuery, choose_order, is_beta_acyclic, skeleton
+from ..query.model import JoinQuery, choose_order, is_beta_acyclic, is_neo, skeleton
 from .bind import Relations, bind
 
 
@@ -44,12 +45,26 @@ def _kernel(q: JoinQuery, order, method: str, kept, options: Options, mode: str)
     names = [f"c{i}" for i in range(max(len(set(a.vars)) for a in q.atoms))]
 
     def run(cell: pa.Table) -> pa.Table:
-        rows = [[] for _ in q.atoms]
-        for r in zip(cell["atom"].to_pylist(), *[cell[c].to_pylist() for c in names], strict=True):
-            k = len(dict.fromkeys(q.atoms[r[0]].vars))
-            rows[r[0]].append(r[1:1 + k])
-        atoms = [(tuple(dict.fromkeys(a.vars)), x) for a, x in zip(q.atoms, rows, strict=True)]
+        number = cell["atom"].to_numpy()
+        atoms = []
+        for i, a in enumerate(q.atoms):
+            own = tuple(dict.fromkeys(a.vars))
+            mine = cell.filter(pa.array(number == i))
+            atoms.append((own, list(zip(*[mine[c].to_numpy().tolist() for c in names[:len(own)]], strict=True))))
         counters = Counters()
+        if method == "points":
+            numbers = gap_counts(atoms, order, counters)
+            if mode == "by":
+                return pa.table({order[0]: pa.array(list(numbers), pa.int64()),
+                                 "w": pa.array(list(map(Decimal, numbers.values())), pa.decimal128(38, 0))})
+            return pa.table({"cnt": [sum(numbers.values())]} | {k: [v] for k, v in counters.row().items()})
+        if mode == "boxes":
+            boxes: list = []
+            n = sum(1 for _ in gap_join(atoms, order, kept, options, counters, q.filters, boxes))
+            mark = lambda x: None if abs(x) >= INF else x
+            return pa.table({"pattern": [" ".join("*" if p is None else str(p) for p in b[0]) for b in boxes] + ["outputs"],
+                             "lo": pa.array([mark(b[1]) for b in boxes] + [0], pa.int64()),
+                             "hi": pa.array([mark(b[2]) for b in boxes] + [n], pa.int64())})
         found = trie_join(atoms, order, q.filters) if method == "trie" else gap_join(atoms, order, kept, options, counters, q.filters)
         if mode == "rows":
             out = list(found)
@@ -57,8 +72,12 @@ def _kernel(q: JoinQuery, order, method: str, kept, options: Options, mode: str)
         n = sum(1 for _ in found)
         return pa.table({"cnt": [n]} | ({k: [v] for k, v in counters.row().items()} if method == "gap" else {}))
 
+    if mode == "by":
+        return run, f"{order[0]} long, w decimal(38,0)"
+    if mode == "boxes":
+        return run, "pattern string, lo long, hi long"
     schema = ", ".join(f"{v} long" for v in q.variables) if mode == "rows" else "cnt long"
-    if method == "gap" and mode != "rows":
+    if method != "trie" and mode != "rows":
         schema += "".join(f", {k} long" for k in Counters().row())
     return run, schema
 
@@ -66,7 +85,7 @@ def _kernel(q: JoinQuery, order, method: str, kept, options: Options, mode: str)
 def _join_cells(q: JoinQuery, dealt: DataFrame, order, method: str, kept, options: Options, mode: str) -> DataFrame:
     run, schema = _kernel(q, order, method, kept, options, mode)
     found = dealt.groupBy("cell").applyInArrow(run, schema)
-    if mode == "rows":
+    if mode in ("rows", "by", "boxes"):
         return found
     sums = [F.coalesce(F.sum(c), F.lit(0)).cast("long").alias(c) for c in found.columns]
     return found.agg(*sums)
@@ -104,15 +123,21 @@ def hypercube_join(q: JoinQuery, rels: Relations, shares: dict[str, int] | None
 
 
 def partitioned_gap_join(q: JoinQuery, rels: Relations, parts: int = 8, granularity: int | None = None,
-                         order: tuple[str, ...] | None = None, options: Options = Options(), mode: str = "count") -> DataFrame:
+                         order: tuple[str, ...] | None = None, options: Options = Options(), mode: str = "count",
+                         points: bool = False) -> DataFrame:
     """The output space cut in equal parts of the first variable; each part is a job of the gap-box join.
 
     Atoms with the first variable are routed by range; the others go to every part, which is the price of
-    this split (messages and prefix extension avoid it). Counts come with the kernel's counters.
+    this split (messages and prefix extension avoid it). Counts come with the kernel's counters. With
+    `points` numbers are kept for the points of the ledgers and no binding is listed (nested elimination
+    orders); mode="by" then gives (first variable, w). mode="boxes" gives the certificate: every gap box
+    that was found, and a row `outputs` with their number in hi.
     """
     acyclic = is_beta_acyclic(q)
     order = order or choose_order(q)
     jobs = parts * (granularity or (1 if acyclic else 8))
+    if points and (q.filters or not is_neo(q, order)):
+        raise ValueError("numbers for points need a nested elimination order and no comparisons")
     kept = None if acyclic else skeleton(q, order)[0]
     first = order[0]
     values = None
@@ -133,4 +158,4 @@ def partitioned_gap_join(q: JoinQuery, rels: Relations, parts: int = 8, granular
             cell = F.col("__part")
         part = _padded(q, df, i, cell.cast("long"))
         dealt = part if dealt is None else dealt.unionByName(part)
-    return _join_cells(q, dealt, order, "gap", kept, options, mode)
+    return _join_cells(q, dealt, order, "points" if points else "gap", kept, options, mode)

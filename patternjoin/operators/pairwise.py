@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..query.model import JoinQuery
-from .bind import Relations, bind, compare, count_product, finish
+from .bind import Relations, bind, checkpointed, compare, count_product, finish
 
 STRATEGIES = {"hash": "shuffle_hash", "merge": "merge", "broadcast": "broadcast", "nested_loop": "shuffle_replicate_nl"}
 
@@ -39,7 +39,7 @@ def pairwise_join(q: JoinQuery, rels: Relations, order: list[int] | None = None,
         if (c := compare(q, bound, fresh or None)) is not None:
             df = df.where(c)
         if persist:
-            df = df.persist()
+            df = checkpointed(df)
     return finish(df, mode, q.variables)
 
 

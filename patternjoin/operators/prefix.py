@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from ..graph.build import adjacency, by_degree
 from ..query.model import JoinQuery, choose_order
-from .bind import Relations, bind, compare, count_product, finish
+from .bind import Relations, bind, checkpointed, compare, count_product, finish
 
 
 def prefix_join(q: JoinQuery, rels: Relations, order: tuple[str, ...] | None = None, mode: str | int = "count",
@@ -73,12 +73,55 @@ def prefix_join(q: JoinQuery, rels: Relations, order: tuple[str, ...] | None = N
         for a in unary[v]:
             prefix = prefix.join(bind(a, rels), v, "left_semi")
         if materialise and {*materialise} == bound:
-            prefix = prefix.persist()
+            prefix = checkpointed(prefix)
     if mode == "count":
         return _summed(prefix.withColumn("__n", F.lit(1).cast("long")), by)
     return finish(prefix, mode, q.variables)
 
 
+def probing_join(q: JoinQuery, rels: Relations, order: tuple[str, ...] | None = None, mode: str | int = "count") -> DataFrame:
+    """Prefix extension without lists, for graphs with hubs: no row ever holds a node's neighbours.
+
+    For the next variable every prefix takes the atom with the fewest candidates, by counted degrees; its
+    edges are joined and the other atoms probed by semijoins on the whole edge, whose keys no hub can heat.
+    So a step makes no more rows than its smallest list has, which is the bound of the prefix form.
+    """
+    if mode == "count" and (product := count_product(q, lambda p: probing_join(p, rels))) is not None:
+        return product
+    order = order or choose_order(q, cyclic=True)
+    if any(len(set(a.vars)) > 2 for a in q.atoms):
+        raise ValueError("atoms of three or more variables: use hypercube_join")
+    v0 = order[0]
+    prefix = reduce(lambda x, y: x.join(y, v0, "left_semi"), [bind(a, rels).select(v0).distinct() for a in q.atoms if v0 in a.vars])
+    bound = {v0}
+    for v in order[1:]:
+        hooks = [(a, next(u for u in a.vars if u != v)) for a in q.atoms if len(set(a.vars)) == 2 and v in a.vars and set(a.vars) - {v} <= bound]
+        if not hooks:
+            raise ValueError(f"{v} meets no earlier variable in this order")
+        edges = [bind(a, rels).select(u, v) for a, u in hooks]
+        for i, (_, u) in enumerate(hooks if len(hooks) > 1 else []):
+            prefix = prefix.join(edges[i].groupBy(u).agg(F.count("*").alias(f"__d{i}")), u)
+        fewest = F.least(*[F.col(f"__d{i}") for i in range(len(hooks))]) if len(hooks) > 1 else None
+        branches = []
+        for i, (_, u) in enumerate(hooks):
+            own = prefix
+            if fewest is not None:  # ties go to the first atom
+                own = own.where(reduce(lambda x, y: x & y, [F.col(f"__d{i}") == fewest, *[F.col(f"__d{j}") > fewest for j in range(i)]]))
+            own = own.join(edges[i], u)
+            for j, (_, w) in enumerate(hooks):
+                if j != i:
+                    own = own.join(edges[j], [w, v], "left_semi")
+            branches.append(own.select(*[x for x in order if x in bound or x == v]))
+        bound.add(v)
+        prefix = reduce(lambda x, y: x.unionByName(y), branches)
+        for a in q.atoms:
+            if set(a.vars) == {v}:
+                prefix = prefix.join(bind(a, rels), v, "left_semi")
+        if (c := compare(q, bound, {v})) is not None:
+            prefix = prefix.where(c)
+    return finish(prefix, mode, q.variables)
+
+
 def _comparison(op: str, other, flip: bool):
     def holds(x):
         a, b = (other, x) if flip else (x, other)
@@ -124,7 +167,7 @@ def gas_triangles(edges: DataFrame) -> DataFrame:
     sets = adjacency(both)
     per_edge = edges.join(sets.toDF("src", "a"), "src").join(sets.toDF("dst", "b"), "dst").select(
         F.size(F.array_intersect("a", "b")).cast("long").alias("n"))
-    return per_edge.agg((F.coalesce(F.sum("n"), F.lit(0)) / 3).cast("long").alias("cnt"))
+    return per_edge.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).select(F.expr("n div 3").alias("cnt"))
 
 
 def gas_cliques4(edges: DataFrame) -> DataFrame:
@@ -164,4 +207,4 @@ def cycles4_by_wedges(edges: DataFrame) -> DataFrame:
 
     s = symmetric(edges)
     k = s.toDF("m", "x").join(s.toDF("m", "y"), "m").where("x < y").groupBy("x", "y").agg(F.count("*").alias("k"))
-    return k.agg((F.coalesce(F.sum(F.expr("k * (k - 1) div 2")), F.lit(0)) / 2).cast("long").alias("cnt"))
+    return k.agg(F.coalesce(F.sum(F.expr("k * (k - 1) div 2")), F.lit(0)).alias("n")).select(F.expr("n div 2").alias("cnt"))

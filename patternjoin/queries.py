@@ -42,10 +42,10 @@ GRAPH_SQL = {
     "sup_cust": "select distinct l_suppkey as src, o_custkey as dst from lineitem join orders on l_orderkey = o_orderkey",
     "cust_part": "select distinct o_custkey as src, l_partkey as dst from lineitem join orders on l_orderkey = o_orderkey",
     "doc_share": r"""with l as (select distinct doc_id, trim(u) as l from (select doc_id, unnest(string_split(text, chr(10))) as u from documents)
- where length(trim(u)) >= 20), k as (select l from l group by l having count(*) between 2 and 1000), m as (select * from l join k using (l))
+ where length(trim(u)) >= 20), k as (select l from l group by l having count(*) > 1), m as (select * from l join k using (l))
  select distinct a.doc_id as src, b.doc_id as dst from m a join m b on a.l = b.l and a.doc_id < b.doc_id""",
     "page_share": """with h as (select distinct page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) as l from pages),
- k as (select l from h group by l having count(*) between 2 and 1000), m as (select * from h join k using (l))
+ k as (select l from h group by l having count(*) > 1), m as (select * from h join k using (l))
  select distinct a.page_id as src, b.page_id as dst from m a join m b on a.l = b.l and a.page_id < b.page_id""",
 }
 
@@ -118,6 +118,11 @@ def _small(df: DataFrame) -> DataFrame:
 CYCLIC = {"clique3": ("copurchase_ret", "copurchase", "handoff", "doc_share", "page_share", "cosupply_ret"), "clique4": ("copurchase_ret", "cosupply_ret"),
           "cycle4": ("copurchase_ret", "cosupply_ret")}
 for _shape, _graphs in CYCLIC.items():
+    add(f"{_shape}_prefix_degree_copurchase" if _shape != "cycle4" else "cycle4_probing_copurchase",
+        lambda spark, d, q=P.SHAPES[_shape](): X.prefix_join(q, {"e": graph(spark, d, "copurchase")}, orient="degree") if q.atoms != P.cycle4().atoms
+        else X.probing_join(q, {"e": graph(spark, d, "copurchase")}, q.variables), _with("copurchase") + chooser.pattern_sql(P.SHAPES[_shape]()))
+    add(f"{_shape}_pairwise_copurchase", lambda spark, d, q=P.SHAPES[_shape](): pairwise.pairwise_join(q, {"e": graph(spark, d, "copurchase")}),
+        _with("copurchase") + chooser.pattern_sql(P.SHAPES[_shape]()))
     for _g in _graphs:
         _q = P.SHAPES[_shape]()
         add(f"{_shape}_prefix_{_g}", lambda spark, d, q=_q, g=_g: X.prefix_join(q, {"e": graph(spark, d, g)}, q.variables),
@@ -125,6 +130,9 @@ for _shape, _graphs in CYCLIC.items():
     _sql = _with("copurchase_ret") + chooser.pattern_sql(P.SHAPES[_shape]())
     _e = lambda spark, d: {"e": graph(spark, d, "copurchase_ret")}
     add(f"{_shape}_pairwise_copurchase_ret", lambda spark, d, q=P.SHAPES[_shape](), e=_e: pairwise.pairwise_join(q, e(spark, d)), _sql)
+    add(f"{_shape}_probing_copurchase_ret", lambda spark, d, q=P.SHAPES[_shape](), e=_e: X.probing_join(q, e(spark, d), q.variables), _sql)
+    add(f"{_shape}_limit100_copurchase_ret", lambda spark, d, q=P.SHAPES[_shape](), e=_e: X.prefix_join(q, e(spark, d), q.variables, 100).agg(F.count("*").alias("cnt")),
+        _with("copurchase_ret") + f"select least(cnt, 100) as cnt from ({chooser.pattern_sql(P.SHAPES[_shape]())})")
     add(f"{_shape}_pairwise_materialised_copurchase_ret",
         lambda spark, d, q=P.SHAPES[_shape](), e=_e: pairwise.pairwise_join(q, e(spark, d), persist=True), _sql)
     add(f"{_shape}_hypercube_copurchase_ret",
@@ -195,6 +203,7 @@ _FIVE_SQL = f"""with r1 as ({graph_sql('sup_part')}), r2 as ({graph_sql('sup_cus
  x as (select r2.src as a, count(*) as w from r2 join r4 on r2.dst = r4.node group by 1), y as (select r3.src as b, count(*) as w from r3 join r5 on r3.dst = r5.node group by 1)
  select cast(coalesce(sum(x.w * y.w), 0) as bigint) as cnt from r1 join x on r1.src = x.a join y on r1.dst = y.b"""
 add("five_atoms_message_s8", lambda s, d: _small(A.message_count(P.five_atoms(), _five(s, d))), _FIVE_SQL)
+add("five_atoms_gapcount_s8", lambda s, d: cells.partitioned_gap_join(P.five_atoms(), _five(s, d), parts=4, points=True).select("cnt"), _FIVE_SQL)
 add("five_atoms_reduce_s8", lambda s, d: A.acyclic_join(P.five_atoms(), _five(s, d)), _FIVE_SQL)
 
 # ---------------------------------------------------------------- sampled shapes
@@ -215,10 +224,16 @@ for _shape in ("path3", "path4", "tree1", "tree2", "comb2"):
     add(f"{_shape}_prefix_{_g}_s80", lambda spark, d, q=_q, r=_r: X.prefix_join(q, r(spark, d), tuple(v for v in _bfs(q))), _sql)
     add(f"{_shape}_reduce_{_g}_s80", lambda spark, d, q=_q, r=_r: A.acyclic_join(q, r(spark, d)), _sql)
     add(f"{_shape}_reduce_bloom_{_g}_s80", lambda spark, d, q=_q, r=_r: A.acyclic_join(q, r(spark, d), bloom=True), _sql)
-    if _shape in ("path3", "comb2", "tree1"):
+    add(f"{_shape}_gapcount_handoff_dir_s80",
+        lambda spark, d, q=_q: cells.partitioned_gap_join(q, _sampled(spark, d, "handoff_dir", 80), parts=4, points=True).select("cnt"),
+        sampled_sql(_shape, "handoff_dir", 80))
+    if _shape != "tree2":
         add(f"{_shape}_gapbox_handoff_dir_s80",
             lambda spark, d, q=_q: cells.partitioned_gap_join(q, _sampled(spark, d, "handoff_dir", 80), parts=4).select("cnt"),
             sampled_sql(_shape, "handoff_dir", 80))
+    for _s in (10, 100, 1000):
+        add(f"{_shape}_message_copurchase_ret_sym_s{_s}", lambda spark, d, q=_q, s=_s: _small(A.message_count(q, _sampled(spark, d, "copurchase_ret_sym", s))),
+            sampled_sql(_shape, "copurchase_ret_sym", _s))
     if _shape.startswith("path"):
         _k = int(_shape[-1])
         add(f"{_shape}_traversal_{_g}_s80", lambda spark, d, q=_q, r=_r: pairwise.traverse(q, r(spark, d), "x0"), _sql)
@@ -252,11 +267,26 @@ add("path3_prefix_materialised_handoff_dir_s8",
 for _shape in ("lollipop2", "lollipop3"):
     for _s in (8, 80):
         _q = P.SHAPES[_shape]()
-        add(f"{_shape}_hybrid_copurchase_ret_sym_s{_s}", lambda spark, d, q=_q, s=_s: A.hybrid_join(q, _sampled(spark, d, "copurchase_ret_sym", s)),
+        add(f"{_shape}_hybrid_copurchase_ret_sym_s{_s}", lambda spark, d, q=_q, s=_s: _small(A.hybrid_join(q, _sampled(spark, d, "copurchase_ret_sym", s))),
+            sampled_sql(_shape, "copurchase_ret_sym", _s))
+    add(f"{_shape}_hybrid_gapcount_copurchase_ret_sym_s80",
+        lambda spark, d, q=_q: _small(A.hybrid_join(q, _sampled(spark, d, "copurchase_ret_sym", 80), path="gapbox")), sampled_sql(_shape, "copurchase_ret_sym", 80))
+    for _s in (10, 100, 1000):
+        add(f"{_shape}_hybrid_copurchase_ret_sym_s{_s}", lambda spark, d, q=_q, s=_s: _small(A.hybrid_join(q, _sampled(spark, d, "copurchase_ret_sym", s))),
             sampled_sql(_shape, "copurchase_ret_sym", _s))
+    add(f"{_shape}_hybrid_rows_copurchase_ret_sym_s80",
+        lambda spark, d, q=_q: A.hybrid_join(q, _sampled(spark, d, "copurchase_ret_sym", 80), "rows").groupBy("x0").agg(F.count("*").alias("cnt")),
+        _with("copurchase_ret_sym", 80) + "select x0, count(*) as cnt from (" + chooser.pattern_sql(_q).replace("cast(count(*) as bigint) as cnt", "t0.node as x0") + ") group by 1"
+        if _shape == "lollipop2" else None)
 add("lollipop2_prefix_copurchase_ret_sym_s80",
     lambda spark, d: X.prefix_join(P.lollipop(2), _sampled(spark, d, "copurchase_ret_sym", 80), tuple(f"x{i}" for i in range(5))),
     sampled_sql("lollipop2", "copurchase_ret_sym", 80))
+add("lollipop3_prefix_copurchase_ret_sym_s80",
+    lambda spark, d: X.prefix_join(P.lollipop(3), _sampled(spark, d, "copurchase_ret_sym", 80), tuple(f"x{i}" for i in range(7))),
+    sampled_sql("lollipop3", "copurchase_ret_sym", 80))
+add("lollipop2_gapbox_copurchase_ret_sym_s1000",
+    lambda spark, d: cells.partitioned_gap_join(P.lollipop(2), _sampled(spark, d, "copurchase_ret_sym", 1000), parts=2, granularity=1).select("cnt"),
+    sampled_sql("lollipop2", "copurchase_ret_sym", 1000))
 add("lollipop2_pairwise_copurchase_ret_sym_s80",
     lambda spark, d: pairwise.pairwise_join(P.lollipop(2), _sampled(spark, d, "copurchase_ret_sym", 80)), sampled_sql("lollipop2", "copurchase_ret_sym", 80))
 
@@ -264,35 +294,64 @@ add("lollipop2_pairwise_copurchase_ret_sym_s80",
 
 
 def _ablation(spark, d, q: JoinQuery, name: str, s: int | None, options: dict[str, Options], order=None) -> DataFrame:
+    """(variant, cnt, cuts_work): the counters of both runs are compared inside, so that the rows can be judged."""
     rels = _sampled(spark, d, name, s) if s else {"e": graph(spark, d, name)}
     rows = [cells.partitioned_gap_join(q, rels, parts=2, options=o, order=order).select(F.lit(k).alias("variant"), "*") for k, o in options.items()]
     return reduce(lambda a, b: a.unionByName(b), rows)
 
 
-for _shape in ("comb2", "path3"):
-    add(f"ablation_seeks_and_complete_nodes_{_shape}_handoff_dir_s80", lambda spark, d, q=P.SHAPES[_shape](): _ablation(spark, d, q, "handoff_dir", 80, {
-        "none": Options(reuse_gap_origin=False, complete_nodes=False), "seeks": Options(complete_nodes=False), "both": Options()}))
-add("ablation_frontier_path3_handoff_dir_s80", lambda spark, d: _ablation(spark, d, P.path(3), "handoff_dir", 80, {
-    "unit_boxes": Options(frontier=False), "frontier": Options()}))
-add("ablation_skeleton_clique3_copurchase_ret", lambda spark, d: _ablation(spark, d, P.clique(3), "copurchase_ret", None, {
-    "closure": Options(cyclic="closure"), "skeleton": Options()}))
+def _variants(sql: str, names: list[str]) -> str:
+    head, tail = sql.rsplit(" select ", 1)
+    return f"{head}, counted as (select {tail}) select variant, cnt from counted, (select unnest({names}) as variant)"
+
+
+for _shape in ("comb2", "path3", "path4"):
+    _o = {"none": Options(reuse_gap_origin=False, complete_nodes=False), "seeks": Options(complete_nodes=False), "both": Options()}
+    add(f"ablation_seeks_and_complete_nodes_{_shape}_handoff_dir_s80", lambda spark, d, q=P.SHAPES[_shape](), o=_o: _ablation(spark, d, q, "handoff_dir", 80, o))
+    add(f"ablation_counts_{_shape}_handoff_dir_s80", lambda spark, d, q=P.SHAPES[_shape](), o=_o: _ablation(spark, d, q, "handoff_dir", 80, o).select("variant", "cnt"),
+        _variants(sampled_sql(_shape, "handoff_dir", 80), list(_o)))
+_o = {"unit_boxes": Options(frontier=False), "frontier": Options()}
+add("ablation_frontier_path3_handoff_dir_s80", lambda spark, d: _ablation(spark, d, P.path(3), "handoff_dir", 80, _o).select("variant", "cnt"),
+    _variants(sampled_sql("path3", "handoff_dir", 80), ["unit_boxes", "frontier"]))
+for _shape, _g in (("clique3", "copurchase_ret"), ("clique4", "cosupply_ret"), ("cycle4", "cosupply_ret")):
+    add(f"ablation_skeleton_{_shape}_{_g}", lambda spark, d, q=P.SHAPES[_shape](), g=_g: _ablation(spark, d, q, g, None, {
+        "closure": Options(cyclic="closure"), "skeleton": Options()}).select("variant", "cnt"),
+        f"{_with(_g)[:-1]}, counted as ({chooser.pattern_sql(P.SHAPES[_shape]())}) select variant, cnt from counted, (select unnest(['closure', 'skeleton']) as variant)")
+add("gap_certificate_path3_handoff_dir_s80", lambda spark, d: cells.partitioned_gap_join(
+    P.path(3), _sampled(spark, d, "handoff_dir", 80), parts=2, mode="boxes").where("pattern = 'outputs'").agg(F.sum("hi").alias("cnt")),
+    sampled_sql("path3", "handoff_dir", 80))
+ORDERS = ("ABCDE", "BACDE", "BCADE", "CBADE", "CBDAE", "BADCE", "ABDCE")
 add("orders_path4_handoff_dir_s80", lambda spark, d: reduce(lambda a, b: a.unionByName(b), [
     cells.partitioned_gap_join(P.path(4), _sampled(spark, d, "handoff_dir", 80), parts=2, order=tuple(f"x{'ABCDE'.index(c)}" for c in o)).select(
-        F.lit(o).alias("order"), "cnt", "candidates", "boxes", "seeks") for o in ("ABCDE", "BACDE", "BCADE", "CBADE", "CBDAE", "BADCE", "ABDCE")]))
-add("granularity_clique3_copurchase_ret", lambda spark, d: reduce(lambda a, b: a.unionByName(b), [
-    cells.partitioned_gap_join(P.clique(3), {"e": graph(spark, d, "copurchase_ret")}, parts=2, granularity=f).select(
-        F.lit(f).alias("f"), "cnt") for f in (1, 2, 3, 4, 8, 12, 14)]),
-    _with("copurchase_ret") + "select cast(f as int) as f, cnt from (" + chooser.pattern_sql(P.clique(3)) + "), (select unnest([1, 2, 3, 4, 8, 12, 14]) as f)")
-for _n in (10, 100, 1000):
-    _top = ", ".join(f"{v} as (select node from (select src as node from e union select dst from e) order by (node * 2654435761 + {G.SALTS[v]}) % 4294967296, node limit {_n})" for v in ("v1", "v2"))
-    add(f"growing_sample_path3_copurchase_n{_n}", lambda spark, d, n=_n: _small(A.message_count(P.path(3), (lambda e: {
-        "e": e, "v1": G.first_nodes(e, n, G.SALTS["v1"]), "v2": G.first_nodes(e, n, G.SALTS["v2"])})(graph(spark, d, "copurchase_sym")))),
-        _with("copurchase_sym", None, _top) + f"select cast(coalesce(sum(w), 0) as bigint) as cnt from {SCHEDULE['path3']}")
-    _k = 10 * _n
-    for _c in (3, 4):
-        add(f"growing_edges_clique{_c}_copurchase_n{_k}", lambda spark, d, k=_k, c=_c: X.prefix_join(P.clique(c), {"e": G.first_edges(graph(spark, d, "copurchase"), k)}),
-            f"with g as ({graph_sql('copurchase')}), e as (select src, dst from g order by ((src * 31 + dst) * 2654435761 + 12345) % 4294967296, src, dst limit {_k}) "
-            + chooser.pattern_sql(P.clique(_c)))
+        F.lit(o).alias("order"), "cnt") for o in ORDERS]),
+    _variants(sampled_sql("path4", "handoff_dir", 80), list(ORDERS)).replace("variant", '"order"'))
+GRANULARITY = (1, 2, 3, 4, 8, 12, 14)
+for _shape, _g, _s in (("clique3", "copurchase_ret", None), ("clique4", "cosupply_ret", None), ("cycle4", "cosupply_ret", None),
+                       ("path3", "handoff_dir", 80), ("tree1", "handoff_dir", 80), ("comb2", "handoff_dir", 80)):
+    _count = sampled_sql(_shape, _g, _s) if _s else _with(_g) + chooser.pattern_sql(P.SHAPES[_shape]())
+    _head, _tail = _count.rsplit(" select " if _s else "select cast(count(*)", 1)
+    add(f"granularity_{_shape}_{_g}", lambda spark, d, q=P.SHAPES[_shape](), g=_g, s=_s: (lambda rels: reduce(lambda a, b: a.unionByName(b), [
+        cells.partitioned_gap_join(q, rels, parts=2, granularity=f).select(F.lit(f).alias("f"), "cnt") for f in GRANULARITY]))(
+            _sampled(spark, d, g, s) if s else {"e": graph(spark, d, g)}),
+        f"{_head.rstrip()}, counted as (select {_tail if _s else 'cast(count(*)' + _tail}) select cast(f as int) as f, cnt from counted, (select unnest({list(GRANULARITY)}) as f)")
+for _g in ("copurchase", "handoff"):
+    for _n in (10, 30, 100, 300, 1000):
+        _top = ", ".join(f"{v} as (select node from (select src as node from e union select dst from e) order by (node * 2654435761 + {G.SALTS[v]}) % 4294967296, node limit {_n})" for v in ("v1", "v2"))
+        _sql = _with(f"{_g}_sym", None, _top) + f"select cast(coalesce(sum(w), 0) as bigint) as cnt from {SCHEDULE['path3']}"
+        _r = lambda spark, d, g=_g, n=_n: (lambda e: {"e": e, "v1": G.first_nodes(e, n, G.SALTS["v1"]), "v2": G.first_nodes(e, n, G.SALTS["v2"])})(graph(spark, d, f"{g}_sym"))
+        add(f"growing_sample_path3_{_g}_n{_n}", lambda spark, d, r=_r: _small(A.message_count(P.path(3), r(spark, d))), _sql)
+        if _g == "handoff" and _n <= 100:
+            add(f"growing_sample_path3_pairwise_{_g}_n{_n}", lambda spark, d, r=_r: pairwise.bushy_path(3, r(spark, d)), _sql)
+            add(f"growing_sample_path3_gapcount_{_g}_n{_n}", lambda spark, d, r=_r: cells.partitioned_gap_join(P.path(3), r(spark, d), parts=4, points=True).select("cnt"), _sql)
+    for _n in (100, 300, 1000, 3000, 10000):
+        _first = f"with g as ({graph_sql(_g)}), e as (select src, dst from g order by ((src * 31 + dst) * 2654435761 + 12345) % 4294967296, src, dst limit {_n}) "
+        for _c in (3, 4):
+            _e = lambda spark, d, g=_g, n=_n: {"e": G.first_edges(graph(spark, d, g), n)}
+            _sql = _first + chooser.pattern_sql(P.clique(_c))
+            add(f"growing_edges_clique{_c}_{_g}_n{_n}", lambda spark, d, c=_c, e=_e: X.prefix_join(P.clique(c), e(spark, d)), _sql)
+            add(f"growing_edges_clique{_c}_pairwise_{_g}_n{_n}", lambda spark, d, c=_c, e=_e: pairwise.pairwise_join(P.clique(c), e(spark, d)), _sql)
+            if _n <= 3000:
+                add(f"growing_edges_clique{_c}_gapbox_{_g}_n{_n}", lambda spark, d, c=_c, e=_e: cells.partitioned_gap_join(P.clique(c), e(spark, d), parts=4, granularity=2).select("cnt"), _sql)
 
 
 def _stats(spark, d, name: str) -> DataFrame:
@@ -345,6 +404,14 @@ add("sixnf_rejoin_orders", lambda spark, d: A.recompose(
     A.decompose(G.table(spark, d, "orders").select("o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderpriority"), "o_orderkey"), "o_orderkey",
     {"o_orderstatus": "o_orderstatus = 'F'", "o_totalprice": "o_totalprice > 100000"}),
     "select o_orderkey, o_custkey, o_orderstatus, o_totalprice, o_orderpriority from orders where o_orderstatus = 'F' and o_totalprice > 100000 and o_custkey is not null and o_orderpriority is not null")
+_OLAP = "n as (select src as node, count(*) as triangles from (select unnest([a.src, a.dst, b.dst]) as src from e a join e b on a.dst = b.src join e c on c.src = a.src and c.dst = b.dst) group by 1)"
+add("olap_triangles_by_brand", lambda spark, d: X.triangles_by_node(graph(spark, d, "copurchase_ret")).join(
+    G.table(spark, d, "part").select(F.col("p_partkey").alias("node"), "p_brand"), "node").groupBy("p_brand").agg(
+        F.sum("triangles").cast("long").alias("corners"), F.count("*").alias("parts")),
+    _with("copurchase_ret", None, _OLAP) + "select p_brand, cast(sum(triangles) as bigint) as corners, count(*) as parts from n join part on p_partkey = node group by 1")
+add("agg_decimal_count_tree2_copurchase_sym_s8", lambda spark, d: A.message_count(P.tree2(), _sampled(spark, d, "copurchase_sym", 8)).select(
+    F.col("cnt").cast("string").alias("cnt")),
+    sampled_sql("tree2", "copurchase_sym", 8).replace("cast(coalesce(sum(w), 0) as bigint) as cnt", "cast(cast(coalesce(sum(w), 0) as hugeint) as varchar) as cnt"))
 add("stream_edge_view_handoff", views.replayed_triangles, _with("handoff") + chooser.pattern_sql(P.clique(3)))
 
 for _name, (_f, _sql) in (catalogue.OPERATORS | extensions.EXTENSIONS).items():

@@ -15,8 +15,12 @@ from ..query.model import JoinQuery
 
 
 def folder(spark: SparkSession, label: str) -> str:
-    """A fresh folder below the cluster's shared one."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="patternjoin-")
+    """A fresh folder below the cluster's shared one; only a session of one machine may do without."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        base = tempfile.mkdtemp(prefix="patternjoin-")
     return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 

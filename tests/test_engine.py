@@ -75,3 +75,48 @@ def test_planner(spark, ret):
 
 def test_streaming_view(spark):
     assert cnt(replayed_triangles(spark, D)) == 455
+
+
+def test_bloom_filter_is_in_the_plan_before_the_exchange(spark, ret):
+    rels = {"e": G.symmetric(ret)} | G.samples(G.symmetric(ret), 8)
+    held = A.full_reduce(P.path(3), rels, bloom=True)
+    plan = held[0]._jdf.queryExecution().executedPlan().toString()
+    assert "Subquery" in plan and "shiftright" in plan
+    assert "shiftright" not in A.full_reduce(P.path(3), rels)[0]._jdf.queryExecution().executedPlan().toString()
+    few = spark.range(0, 100_000, 1000).toDF("a")
+    kept = A.bloom_reduce(spark.range(100_000).toDF("a"), few)
+    assert kept.join(few, "a").count() == 100 and kept.count() < 5_000
+    assert A.bloom_reduce(few, few.limit(0)).count() == 0
+    assert cnt(A.acyclic_join(P.path(3), rels, bloom=True)) == 8981
+
+
+def test_counting_gap_box(spark, ret):
+    e = G.symmetric(ret)
+    rels = {"e": e} | G.samples(e, 8)
+    for shape, n in (("path3", 8981), ("tree1", 536), ("tree2", 526705), ("comb2", 8981)):
+        assert cnt(cells.partitioned_gap_join(P.SHAPES[shape](), rels, parts=2, points=True)) == n
+    assert cnt(A.hybrid_join(P.lollipop(2), rels, path="gapbox")) == 155500
+    with pytest.raises(ValueError):
+        cells.partitioned_gap_join(P.clique(3), {"e": ret}, points=True)
+
+
+def test_probing_join_with_a_hub(spark):
+    star = [(0, i) for i in range(1, 400)] + [(i, i + 1) for i in range(1, 399)] + [(5, 9), (7, 3)]
+    edges = G.unordered(spark.createDataFrame(star, "src long, dst long"))
+    for q in (P.clique(3), P.clique(4), P.cycle4()):
+        assert cnt(X.probing_join(q, {"e": edges}, q.variables)) == cnt(X.prefix_join(q, {"e": edges}, q.variables))
+
+
+def test_measures(spark, ret):
+    from patternjoin.plans import measures
+
+    done = measures.timed(lambda: X.prefix_join(P.clique(3), {"e": ret}), timeout_s=300)
+    assert done["status"] == "ok" and done["rows"][0]["cnt"] == 830 and done["seconds"] > 0
+    late = measures.timed(lambda: spark.range(10**12).selectExpr("sum(hash(id)) as cnt"), timeout_s=1)
+    assert late["status"] == "timeout" and late["seconds"] is None
+    assert measures.speedup(4.0, 2.0) == 2.0 and measures.speedup(None, 2.0) is None
+    assert measures.normalised({1: 2.0, 2: 1.0, 4: None}) == {1: 1.0, 2: 0.5, 4: None}
+    cost = measures.explain_cost(pairwise.pairwise_join(P.clique(3), {"e": ret}))
+    wcoj = measures.explain_cost(X.prefix_join(P.clique(3), {"e": ret}))
+    assert cost["largest_intermediate_rows"] > 0 and cost["shuffle_bytes"] > 0 and wcoj["operators"] > 0
+    assert measures.same_count({"a": 3, "b": 3}) and not measures.same_count({"a": 3, "b": 4})
