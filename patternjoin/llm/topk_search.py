@@ -1,11 +1,12 @@
-"""Exact top-k inner products by score-at-a-time over impact-ordered segments.
-
-A block of vectors is indexed by quantised impact: level l holds the postings (dimension, row)
-whose magnitude lies between 2^l and 2^(l+1). Levels are processed from the largest impact down;
-after each level every row has a partial score and a proven limit on what the smaller impacts
-can still add (the norm of its unprocessed part times the query's norm). A query stops when no
-row outside its possible members can reach its k-th best proven score; the possible members
-are then rescored exactly in integers.
+"""Exact top-k inner products by score-at-a-time over impact-ordered posting segments.
+
+A block of vectors is inverted: the posting list of a dimension holds (row, value) for the rows
+that are not zero there, cut into segments by quantised impact (2^(l-1) <= |value| < 2^l). A batch
+of queries takes the segments level by level, the largest impacts of all dimensions first, and adds
+each into the rows' accumulators. After a level it knows, for each row, a limit on what smaller impacts
+can still add (the norm of the row's unprocessed part times the query's norm). It stops when no row
+outside its possible members can reach its k-th best proven score; the possible members are then
+rescored exactly in integers.
 """
 
 from __future__ import annotations
@@ -16,49 +17,61 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BLOCK_ROWS = 8192
-QUERY_ROWS = 512
+QUERY_ROWS = 128
 
 
 class ImpactIndex:
-    """One block of integer vectors, its postings cut into segments of equal impact level."""
+    """Inverted lists of one block of integer vectors, in segments of equal impact level."""
 
     def __init__(self, ids: np.ndarray, vectors: np.ndarray):
         self.ids = ids
         self.vectors = vectors
         magnitude = np.abs(vectors)
-        # bit length of the magnitude: 0 for no impact at all
-        level = np.frexp(magnitude.astype(np.float64))[1]
-        level[magnitude == 0] = 0
-        self.levels = []
-        rest = vectors.astype(np.float64)
-        for l in sorted(np.unique(level[level > 0]).tolist(), reverse=True):
-            segment = np.where(level == l, vectors, 0).astype(np.float64)
-            rest = np.where(level == l, 0.0, rest)
-            # a hair above the true norm, so that rounding cannot make the limit too low
-            self.levels.append((segment, np.sqrt((rest * rest).sum(axis=1)) * (1 + 1e-9)))
         self.wide = int(magnitude.max(initial=0))
+        row, dim = np.nonzero(vectors)
+        value = vectors[row, dim]
+        level = np.frexp(magnitude[row, dim].astype(np.float64))[1]  # bit length of the magnitude
+        squares = np.zeros(len(ids))
+        np.add.at(squares, row, value.astype(np.float64) ** 2)
+        # postings by level, largest first, then by dimension: a segment is a stretch of these arrays
+        order = np.lexsort((row, dim, -level))
+        row, dim, value, level = row[order], dim[order], value[order].astype(np.float64), level[order]
+        edge = np.flatnonzero(np.concatenate([[True], (level[1:] != level[:-1]) | (dim[1:] != dim[:-1])])) if len(row) else np.empty(0, np.int64)
+        ends = np.append(edge[1:], len(row))
+        self.rows, self.values = row, value
+        self.levels: list[tuple[list[tuple[int, int, int]], np.ndarray]] = []
+        segments = list(zip(level[edge].tolist(), dim[edge].tolist(), edge.tolist(), ends.tolist(), strict=True))
+        for l in dict.fromkeys(x[0] for x in segments):
+            own = [x[1:] for x in segments if x[0] == l]
+            lo, hi = own[0][1], own[-1][2]
+            np.subtract.at(squares, row[lo:hi], value[lo:hi] ** 2)
+            # a hair above the true norm, so that rounding cannot make the limit too low
+            self.levels.append((own, np.sqrt(np.maximum(squares, 0.0)) * (1 + 1e-9) + 1e-6))
 
     def search(self, query_ids: np.ndarray, queries: np.ndarray, k: int):
         """(query index, rank order is left to the caller, row index, exact score) of the k best per query."""
         n = len(self.ids)
-        partial = np.zeros((len(queries), n))
+        partial = np.zeros((n, len(queries)))  # a posting touches all queries of the batch in one stretch of memory
         q = queries.astype(np.float64)
-        q_norm = np.sqrt((q * q).sum(axis=1))[:, None] * (1 + 1e-9)
-        own = self.ids[None, :] == query_ids[:, None]
+        q_norm = np.sqrt((q * q).sum(axis=1)) * (1 + 1e-9)
+        own = self.ids[:, None] == query_ids[None, :]
         open_rows = None
         kth = min(k, n) - 1
-        for segment, rest_norm in self.levels:
-            partial += q @ segment.T
-            limit = q_norm * rest_norm[None, :]
+        for segments, rest_norm in self.levels:
+            for dim, lo, hi in segments:  # a row stands once in a list, so no sum is lost
+                asking = np.flatnonzero(q[:, dim])
+                if len(asking):
+                    partial[self.rows[lo:hi]] += self.values[lo:hi, None] * q[None, :, dim]
+            limit = rest_norm[:, None] * q_norm[None, :]
             slack = 1e-9 * (np.abs(partial) + limit) + 1e-6
             low = np.where(own, -np.inf, partial - limit - slack)
-            floor = -np.partition(-low, kth, axis=1)[:, kth]
-            open_rows = (partial + limit + slack >= floor[:, None]) & ~own
+            floor = -np.partition(-low, kth, axis=0)[kth]
+            open_rows = (partial + limit + slack >= floor[None, :]) & ~own
             if open_rows.sum() <= 4 * k * len(queries):
                 break  # proven: whatever is left out cannot be among the k best
         if open_rows is None:
             open_rows = ~own
-        qi, ri = np.nonzero(open_rows)
+        qi, ri = np.nonzero(open_rows.T)
         exact = np.empty(len(qi), np.int64)
         # 64-bit sums are exact while no product sum can pass 2^63; wider values go through Python integers
         wide = max(self.wide, int(np.abs(queries).max(initial=0)))
