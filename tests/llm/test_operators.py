@@ -289,3 +289,97 @@ def test_pipeline_against_brute_force(spark, monkeypatch, tmp_path):
     want = Counter((i, tuple(library.encode_ordinary(t))) for i, t in cleaned if i in uses for _ in range(uses[i]))
     assert {k: n for k, n in got.items() if k[0] in uses} == want
     assert {i for i, _ in got} <= {i for i, _ in cleaned}
+
+
+def test_language_against_brute_force(spark):
+    from patternjoin.llm.language_id import GRAM, LanguageFilter
+
+    g = random.Random(3)
+    sound = {"aa": "abcde fgh", "bb": "nopqr stu", "cc": "vwxyz éàü"}
+    text = lambda l, n: "".join(g.choice(sound[l]) for _ in range(n))
+    docs = [(i, text(l, 150), l, "s") for i, l in enumerate(["aa", "bb", "cc"] * 30)]
+    model = fit_filter(table(spark, docs))
+    held = [(l, text(l, g.randint(30, 200))) for l in ["aa", "bb", "cc"] * 40]
+    assert sum(p == l for p, (l, _) in zip(model.decide([t for _, t in held])[0], held, strict=True)) >= 0.98 * len(held)
+    # a filter over known n-grams against sets: it never misses one, and what is left after correction is the exact count
+    grams = {"aa": {b"abcd", b"bcde"}, "bb": {b"abcd", b"wxyz"}}
+    code = lambda x: int.from_bytes(x, "little")
+    small = LanguageFilter(["aa", "bb"], {l: np.array([code(x) for x in v], np.uint32) for l, v in grams.items()}, "aa")
+    for t in ("abcde", "abcdwxyz", "zzzz", "abcd wxyz", "x" * 500):
+        raw = f" {t} ".encode()
+        seen = Counter(l for i in range(len(raw) - GRAM + 1) for l in grams if raw[i:i + GRAM] in grams[l])
+        total = sum(seen.values())
+        (found,), (score,) = small.decide([t])
+        want = max(["aa", "bb"], key=lambda l: (seen[l], l == "aa")) if total else "aa"
+        assert found == want and score == pytest.approx(seen[want] / total if total else 0.0, abs=1e-3)
+
+
+def test_html_hard_pages(spark):
+    take = html_extraction.main_text
+    assert take("<article><header><h1>Head</h1><p>By someone</p></header><p>The text of the article is here and long enough.</p></article>") == (
+        "The text of the article is here and long enough.")
+    kept = "A paragraph on how engines of this kind rank their results."
+    assert kept in take(f"<main><p>First paragraph of the main text, long enough.</p><p class='search-engines'>{kept}</p></main>")
+    assert "Buy" not in take("<main><p>First paragraph of the main text, long enough.</p><div class='adBanner'>Buy this now or never</div></main>")
+    deep = "<div>" * 3000 + "<p>Deep down there is a paragraph of ordinary length.</p>" + "</div>" * 3000
+    assert take(f"<article>{deep}</article>") == "Deep down there is a paragraph of ordinary length."
+    schema = "page_id long, url string, html string, text string, n_chars long, key long"
+    assert html_extraction.extract_text(spark.createDataFrame([], schema)).count() == 0
+    rows = [(i, "u", f"<nav><a href=x>one {i}</a></nav><article><h1>Title {i}</h1><p>Some words of page {i}, enough of them.</p></article><footer>(c) {i}</footer>", "x", 1, 2)
+            for i in range(40)]
+    got = html_extraction.extract_text(spark.createDataFrame(rows, schema)).collect()
+    truth = {i: f"Title {i} Some words of page {i}, enough of them." for i in range(40)}
+    f1 = []
+    for r in got:  # token F1 against the text that was put in
+        a, b = Counter(r["text"].split()), Counter(truth[r["page_id"]].split())
+        f1.append(2 * sum((a & b).values()) / (sum(a.values()) + sum(b.values())))
+    assert sum(f1) / len(f1) > 0.99
+
+
+def test_fitted_weights_follow_the_pages(spark):
+    # pages whose articles are lists: the start weights speak against lists, the fitted ones must not
+    rows = [(i, "u", "<div><p>short</p></div><article>" + "".join(f"<ul><li>entry {j} of list {i} with some more words</li></ul>" for j in range(6)) + "</article>") for i in range(60)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    w = dict(zip(html_extraction.FEATURES, html_extraction.fit_weights(pages), strict=True))
+    assert w["list"] > dict(zip(html_extraction.FEATURES, html_extraction.START, strict=True))["list"] + 0.5
+    assert html_extraction.fit_weights(pages.limit(0)) == html_extraction.START
+
+
+def test_extra_columns_and_empty_tables(spark):
+    vec = spark.createDataFrame([(i, [float(i), 1.0], 1, 2, 3) for i in range(120)], "vec_id long, embedding array<float>, score long, q long, slot long")
+    assert topk_search.exact_top_k(vec).count() == 15 and topk_search.exact_top_k(vec.limit(0)).count() == 0
+    pages = spark.createDataFrame([(1, "u", "x" * 1200, 5, "d"), (2, "u", "x" * 1200, 6, "e")], "page_id long, url string, html string, payload_bytes long, digest string")
+    for docs, n in ((pages, 2), (pages.limit(0), 0)):
+        archive = warc_archive.new_archive(spark)
+        warc_archive.write_archive(docs, archive)
+        assert warc_archive.archive_report(spark, archive).count() == n
+
+
+def test_flow_against_brute_force():
+    g = random.Random(6)
+    for _ in range(60):
+        sources = "abc"[:g.randint(1, 3)]
+        members = {f"p{i}": g.sample(sources, g.randint(1, len(sources))) for i in range(g.randint(1, 3))}
+        capacity = {p: float(g.randint(0, 3)) for p in members}
+        quota = {s: float(g.randint(0, 4)) for s in sources}
+        flow = min_cost_flow(capacity, members, quota, 2)
+
+        def all_flows(arcs, left, need):
+            if not arcs:
+                yield {}
+                return
+            (p, s), rest = arcs[0], arcs[1:]
+            for f in range(int(min(left[p], need[s])) + 1):
+                for x in all_flows(rest, left | {p: left[p] - f}, need | {s: need[s] - f}):
+                    yield x | {(p, s): f}
+
+        arcs = [(p, s) for p in members for s in members[p]]
+        worth = lambda x: (-sum(x.values()), sum(max(0.0, sum(v for (q, _), v in x.items() if q == p) - capacity[p]) for p in members))  # noqa: B023, E731
+        best = min(worth(x) for x in all_flows(arcs, {p: 2 * c for p, c in capacity.items()}, quota))
+        assert worth(flow) == pytest.approx(best)
+
+
+def test_repeated_rows_are_one_text(spark):
+    docs = table(spark, [(i % 3, f"one two three four five six seven eight nine ten {i % 3 // 2}", "en", "a") for i in range(90)])
+    got = near_duplicates(docs, width=2)
+    assert got.count() == 90 and {r["component_id"] for r in got.where("doc_id < 2").collect()} == {0}
