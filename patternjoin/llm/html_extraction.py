@@ -325,8 +325,13 @@ def fit_weights(pages: DataFrame, id_column: str = "page_id", html_column: str =
 
     Tasks send moments only: for each round the gradient and the curvature of the log-likelihood.
     """
-    sample = pages.select(F.col(html_column).cast("string").alias("html"), F.xxhash64(F.col(id_column), F.col(html_column)).alias("key")).where(
-        "html is not null").orderBy("key").limit(sample_pages).select("html")
+    keyed = pages.select(F.col(html_column).cast("string").alias("html"), F.xxhash64(F.col(id_column), F.col(html_column)).alias("key")).where(
+        "html is not null")
+    # the keys alone are sorted; pages then stay in their tasks (a page repeated with its id comes with its copies)
+    last = keyed.select("key").orderBy("key").limit(sample_pages).agg(F.max("key").alias("key")).first()["key"]
+    if last is None:
+        return START
+    sample = keyed.where(F.col("key") <= last).select("html")
 
     def features(batches):
         counted: Counter = Counter()
