@@ -152,7 +152,23 @@ def test_model_scores_each_id_once():
     for one, both in zip(ids, together, strict=True):
         x, y, _, n = lm_scoring.lay_out([one])
         assert (y >= 0).sum() == len(one) + 1 == n[0]
-        assert float(lm_scoring._forward(p, x, y)[0].astype(float).sum()) == pytest.approx(both, rel=1e-4)
+        assert -lm_scoring._gradients(p, x, y)[0] * n[0] == pytest.approx(both, rel=1e-4)
+
+
+def test_model_gradients():
+    g = np.random.default_rng(0)
+    p = {k: (v + g.standard_normal(v.shape) * 0.1).astype(np.float32) for k, v in lm_scoring.initial().items()}
+    ids = [g.integers(0, 300, k) for k in (40, 5, 0, 70)]
+    x, y, _, n = lm_scoring.lay_out(ids)
+    loss = lambda: -lm_scoring.text_logp(p, ids).sum() / n.sum()
+    for k, gradient in lm_scoring._gradients(p, x, y)[1].items():
+        at = np.unravel_index(np.argmax(np.abs(gradient)), gradient.shape)
+        kept = p[k][at]
+        p[k][at] = kept + 0.01
+        above = loss()
+        p[k][at] = kept - 0.01
+        assert (above - loss()) / 0.02 == pytest.approx(float(gradient[at]), rel=0.05, abs=2e-4), k  # a step may cross a kink
+        p[k][at] = kept
 
 
 def test_webp_features():
