@@ -1,9 +1,13 @@
 """Cells of the one-round joins stay small whatever the sizes of the relations."""
 
+import numpy as np
+
 from patternjoin.graph import build as G
+from patternjoin.kernel.intersect import flat_count, trie_join
 from patternjoin.operators import acyclic as A
 from patternjoin.operators import cells
 from patternjoin.query import patterns as P
+from patternjoin.query.model import choose_order
 
 D = "/root/testdata/sf0.001"
 
@@ -41,3 +45,22 @@ def test_gap_cells_over_all_variables(spark, monkeypatch):
     q = P.lollipop(2)
     assert cnt(A.hybrid_join(q, rels, path="gapbox")) == cnt(A.hybrid_join(q, rels))
     assert cnt(cells.partitioned_gap_join(P.clique(3), {"e": G.copurchase_ret(spark, D)}, parts=2, granularity=2)) == 830
+
+
+def test_flat_counts():
+    rng = np.random.default_rng(1)
+    for q in (P.clique(3), P.clique(4), P.cycle4(), P.triangle3(), P.path(3), P.comb2()):
+        rows = {a.rel: rng.integers(0, 12, (60, len(a.vars))) for a in q.atoms}
+        atoms = [(a.vars, list(rows[a.rel].T)) for a in q.atoms]
+        order = choose_order(q, cyclic=True)
+        want = sum(1 for _ in trie_join([(v, [tuple(map(int, r)) for r in zip(*c, strict=True)]) for v, c in atoms], order, q.filters))
+        assert flat_count(atoms, order, q.filters) == want
+
+
+def test_hypercube_cells_grow_with_the_relations(spark, monkeypatch):
+    e, most = G.copurchase_ret(spark, D).persist(), []
+    cut = cells._join_cells
+    monkeypatch.setattr(cells, "_join_cells", lambda q, dealt, *rest: (most.append(dealt.groupBy("cell").count().agg({"count": "max"}).first()[0]), cut(q, dealt, *rest))[1])
+    for q, n in ((P.clique(3), 830), (P.cycle4(), 1438)):
+        assert cnt(cells.hypercube_join(q, {"e": e}, cells=2, cell_tuples=500)) == n
+    assert max(most) < 700 < 3 * e.count()
