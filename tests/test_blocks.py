@@ -42,6 +42,23 @@ def test_counts_do_not_depend_on_the_cells(spark, monkeypatch, groups):
     assert cnt(blocks.clique_count(arcs.limit(0), 3)) == cnt(blocks.square_count(arcs.limit(0), "pairwise")) == 0
 
 
+def test_classes_count_as_their_documents(spark, tmp_path):
+    a, b, c = ("a line of twenty letters and more", "one more line of twenty letters", "the third line of twenty letters")
+    texts = [a, a, f"{a}\n{b}", f"{b}\n{a}", f" {b}", f"{b}\n{c}", c, c, c, "only this one has this line of text", None, f"{a}\nshort"]
+    rows = [(i, t) for i, t in enumerate(texts)] + [(6, b), (None, a)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    want = cnt(X.prefix_join(P.clique(3), {"e": G.doc_share(spark, str(tmp_path))}))
+    assert cnt(QUERIES["clique3_prefix_doc_share"](spark, str(tmp_path))) == want > 20
+
+
+def test_one_frequent_line_makes_no_pairs(spark, tmp_path, monkeypatch):
+    """All its documents are one class: the pairs of 2,000 documents were formed before."""
+    line = "a line of twenty letters and more"
+    spark.createDataFrame([(i, line) for i in range(2_000)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    monkeypatch.setattr(G, "doc_share", None)
+    assert cnt(QUERIES["clique3_prefix_doc_share"](spark, str(tmp_path))) == 2_000 * 1_999 * 1_998 // 6
+
+
 def unfolded(*_, **__):
     raise AssertionError("wedges are unfolded by Spark")
 
