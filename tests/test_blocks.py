@@ -63,7 +63,7 @@ def unfolded(*_, **__):
     raise AssertionError("wedges are unfolded by Spark")
 
 
-@pytest.mark.parametrize("name", ["cycle4_pairwise_copurchase", "cycle4_probing_copurchase", "clique4_prefix_degree_copurchase"])
+@pytest.mark.parametrize("name", ["cycle4_pairwise_copurchase", "cycle4_probing_copurchase", "clique4_prefix_degree_copurchase", "clique3_pairwise_copurchase"])
 def test_registered_counts_leave_no_wedge(spark, monkeypatch, name):
     e = {"e": G.copurchase(spark, D)}
     q = P.SHAPES[name.split("_")[0]]()
