@@ -59,6 +59,24 @@ def test_one_frequent_line_makes_no_pairs(spark, tmp_path, monkeypatch):
     assert cnt(QUERIES["clique3_prefix_doc_share"](spark, str(tmp_path))) == 2_000 * 1_999 * 1_998 // 6
 
 
+@pytest.mark.parametrize("hubs, types", ((0, 9), (1, 9), (3, 9), (126, 9), (126, 400)))
+def test_hub_lines_make_types_and_no_pairs(spark, monkeypatch, hubs, types):
+    """Links of frequent lines are not listed, and triangles of hub and other links are all counted."""
+    rng = np.random.default_rng(4)
+    held = {frozenset(f"line {k}" for k in range(12) if rng.random() < (0.35 if k < 5 else 0.08)) for _ in range(160)} - {frozenset()}
+    held = {ls: int(rng.integers(1, 4)) for ls in sorted(held, key=sorted)}
+    classes = spark.createDataFrame([(i, w, [x.encode() for x in sorted(ls)]) for i, (ls, w) in enumerate(held.items())], "node long, w long, ls array<binary>")
+    docs = [ls for ls, w in held.items() for _ in range(w)]
+    linked = np.array([[i != j and bool(a & b) for j, b in enumerate(docs)] for i, a in enumerate(docs)], np.int64)
+    monkeypatch.setattr(blocks, "HUB_CLASSES", 8)
+    monkeypatch.setattr(blocks, "TYPES", types)
+    monkeypatch.setattr(blocks, "TYPE_BLOCK", 7)
+    listed = []
+    monkeypatch.setattr(blocks, "_pairs", lambda rows, *a: listed.append(rows.select("l").distinct().count()) or G._pairs(rows, *a))
+    assert cnt(blocks.class_triangles(classes, hubs)) == np.trace(linked @ linked @ linked) // 6 > 1_000
+    assert (listed[0] < 12) == (hubs > 0)
+
+
 def unfolded(*_, **__):
     raise AssertionError("wedges are unfolded by Spark")
 
