@@ -5,7 +5,7 @@ import numpy as np
 from patternjoin.graph import build as G
 from patternjoin.kernel.intersect import flat_count, trie_join
 from patternjoin.operators import acyclic as A
-from patternjoin.operators import cells
+from patternjoin.operators import cells, pairwise
 from patternjoin.query import patterns as P
 from patternjoin.query.model import choose_order
 
@@ -64,3 +64,17 @@ def test_hypercube_cells_grow_with_the_relations(spark, monkeypatch):
     for q, n in ((P.clique(3), 830), (P.cycle4(), 1438)):
         assert cnt(cells.hypercube_join(q, {"e": e}, cells=2, cell_tuples=500)) == n
     assert max(most) < 700 < 3 * e.count()
+
+
+def test_hypercube_sends_packed_blocks(spark, monkeypatch):
+    """A clique's tuples went to their cells one by one, a row each: now a row is a block, sent once to a cell."""
+    rng = np.random.default_rng(2)
+    e = spark.createDataFrame([(int(a), int(b)) for a, b in rng.integers(0, 90, (3_000, 2))], "src long, dst int").distinct().persist()
+    other = spark.createDataFrame([(int(a), None if a == 5 else int(b)) for a, b in rng.integers(-40, 90, (900, 2))], "x int, y long").distinct().persist()
+    sent, cut = [], cells._join_cells
+    monkeypatch.setattr(cells, "_join_cells", lambda q, dealt, *rest: (sent.append((dealt.count(), dealt.dropDuplicates(["cell", "rel", "a", "b"]).count())), cut(q, dealt, *rest))[1])
+    for q, rels in ((P.clique(4), {"e": e}), (P.cycle4(), {"e": e}), (P.triangle3(), {"r": e, "s": other, "t": e})):
+        want = cnt(pairwise.pairwise_join(q, rels))
+        for tuples in (700, 5_000):
+            assert cnt(cells.hypercube_join(q, rels, cells=3, cell_tuples=tuples)) == want > 100
+            assert sent[-1][0] == sent[-1][1] < e.count() * 6
